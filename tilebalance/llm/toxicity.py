@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import math
 import re
+import zlib
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -26,8 +27,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-PER_CLASS, MAX_CHARS = 3000, 40_000
-PREFIXES = range(4, 9)
+PER_CLASS, MAX_CHARS = 2000, 30_000
+PREFIXES, FEATURE_BITS = range(4, 9), 20
+WIDTH = 1 + len(PREFIXES)
 _EDGE = re.compile(r"^[\W_]+|[\W_]+$")
 _CACHE_LIMIT = 400_000
 
@@ -37,16 +39,20 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
-def features(token: str) -> list[str]:
+def features(token: str) -> list[int]:
+    """WIDTH numbers from 0 (no feature) to 2**FEATURE_BITS: hashes of the word and its prefixes."""
     word = _EDGE.sub("", token)
-    return ["=" + word, *[word[:k] for k in PREFIXES if len(word) >= k]] if word else []
+    if not word:
+        return [0] * WIDTH
+    own = [f"={word}", *[word[:k] for k in PREFIXES if len(word) >= k]]
+    return [(zlib.crc32(f.encode("utf-8", "replace")) >> (32 - FEATURE_BITS)) + 1 for f in own] + [0] * (WIDTH - len(own))
 
 
 @dataclass
 class Field:
     """Fitted weights; all plain numbers, so that it can be sent to tasks (its size is bounded by the fitting sample's)."""
 
-    weights: dict[str, float]
+    weights: np.ndarray  # float32, 2**FEATURE_BITS + 1
     bias: float
     trans: tuple[float, float, float, float]  # log weights 00, 01, 10, 11
     curve: tuple[float, ...]
@@ -62,8 +68,8 @@ class Field:
         if found is None:
             if len(self.cache) >= _CACHE_LIMIT:
                 self.cache.clear()
-            get = self.weights.get
-            found = self.cache[token] = math.exp(max(-30.0, min(30.0, self.bias + sum(get(f, 0.0) for f in features(token)))))
+            w = self.weights
+            found = self.cache[token] = math.exp(max(-30.0, min(30.0, self.bias + sum(float(w[f]) for f in features(token)))))
         return found
 
     def marginals(self, texts: list[str | None]) -> list[np.ndarray]:
@@ -136,74 +142,57 @@ def chain_marginals(e: np.ndarray, starts: np.ndarray, lengths: np.ndarray, tran
     return odds / (1.0 + odds)
 
 
-def token_labels(docs: list[list[str]], toxic: list[int], least: int = 4, times: float = 6.0) -> tuple[list[np.ndarray], set[str]]:
-    """Labels of the tokens of each document, and the features that made them 1."""
-    seen: tuple[dict[str, int], dict[str, int]] = ({}, {})
-    for words, y in zip(docs, toxic):
-        for f in {f for w in set(words) for f in features(w)}:
-            seen[y][f] = seen[y].get(f, 0) + 1
+def telling(words: np.ndarray, docs: list[np.ndarray], toxic: list[int], least: int = 4, times: float = 6.0) -> np.ndarray:
+    """Which features are much commoner in toxic documents (in at least `least` of them): the weak labels of tokens.  words has the features of each word, docs the words of each document."""
+    seen = np.zeros((2, (1 << FEATURE_BITS) + 1))
+    for own, y in zip(docs, toxic):
+        seen[y][np.unique(words[np.unique(own)])] += 1
     n0, n1 = max(1, toxic.count(0)), max(1, toxic.count(1))
-    telling = {f for f, k in seen[1].items() if k >= least and (k / n1) >= times * (seen[0].get(f, 0) + 0.5) / n0}
-    marks: dict[str, int] = {}
-
-    def mark(w: str) -> int:
-        if w not in marks:
-            marks[w] = int(any(f in telling for f in features(w)))
-        return marks[w]
-
-    return [np.array([mark(w) if y else 0 for w in words], np.int8) for words, y in zip(docs, toxic)], telling
+    out = (seen[1] >= least) & (seen[1] / n1 >= times * (seen[0] + 0.5) / n0)
+    out[0] = False
+    return out
 
 
 def fit(texts: list[str], toxic: list[int], share: float, rounds: int = 60, piece: int = 96) -> Field:
     """Fit on a sample; share is the toxic share among all labelled rows, to which the score is set."""
-    docs = [(t or "").lower().split() for t in texts]
+    size = (1 << FEATURE_BITS) + 1
     ones = sum(toxic)
     if not ones or ones == len(toxic):  # nothing to tell apart: a constant score
         p = min(0.999, max(0.001, ones / len(toxic) if toxic else 0.0))
-        return Field({}, -30.0, (0.0, 0.0, 0.0, 0.0), (math.log(p / (1 - p)), 0.0, 0.0, 0.0))
-    train = [i for i in range(len(docs)) if i % 3]
-    labels, _ = token_labels([docs[i] for i in train], [toxic[i] for i in train])
-    held: dict[str, int] = {}
-    for i in train:
-        for f in {f for w in set(docs[i]) for f in features(w)}:
-            held[f] = held.get(f, 0) + 1
-    number = {f: k + 1 for k, f in enumerate(sorted(f for f, n in held.items() if n >= 3))}
-    width = 1 + len(PREFIXES)
-    rows: dict[str, list[int]] = {}
-
-    def row(w: str) -> list[int]:
-        if w not in rows:
-            got = [number.get(f, 0) for f in features(w)]
-            rows[w] = got + [0] * (width - len(got))
-        return rows[w]
-
+        return Field(np.zeros(size, np.float32), -30.0, (0.0, 0.0, 0.0, 0.0), (math.log(p / (1 - p)), 0.0, 0.0, 0.0))
+    train = [i for i in range(len(texts)) if i % 3]
+    number: dict[str, int] = {}
+    docs = [np.array([number.setdefault(w, len(number)) for w in (texts[i] or "").lower().split()], np.int32) for i in train]
+    words = np.array([features(w) for w in number] or [[0] * WIDTH], np.int32)
+    number.clear()
+    marked = telling(words, docs, [toxic[i] for i in train])[words].any(1)
+    held = np.zeros(size, np.int32)
+    for own in docs:
+        held[np.unique(words[np.unique(own)])] += 1
+    words[held[words] < 3] = 0
     parts, marks = [], []
-    for i, y in zip(train, labels):
-        for a in range(0, len(docs[i]), piece):
-            own = y[a : a + piece]
-            if own.any() or (a // piece + i) % 4 == 0:  # of pieces without a 1, a quarter by position
-                parts.append([row(w) for w in docs[i][a : a + piece]])
-                marks.append(own)
+    for i, own in zip(train, docs):
+        for a in range(0, len(own), piece):
+            y = marked[own[a : a + piece]] & bool(toxic[i])
+            if y.any() or (a // piece + i) % 4 == 0:  # of pieces without a 1, a quarter by position
+                parts.append(own[a : a + piece])
+                marks.append(y)
     order = sorted(range(len(parts)), key=lambda k: -len(parts[k]))
-    n = np.array([len(parts[k]) for k in order])
-    x = np.zeros((piece, len(order), width), np.int32)
-    y = np.zeros((piece, len(order)), np.int8)
+    n = np.array([len(parts[k]) for k in order], np.int64)
+    x, y = np.zeros((piece, len(order)), np.int32), np.zeros((piece, len(order)), np.int8)
     for c, k in enumerate(order):
         x[: n[c], c], y[: n[c], c] = parts[k], marks[k]
     active = [int((n > t).sum()) for t in range(piece)]
     mask = np.arange(piece)[:, None] < n[None, :]
-    theta, trans = np.zeros(len(number) + 1), np.zeros(4)
-    theta[0] = -3.0  # padding feature: the bias, added once
-    bias = -3.0
-    m, v, step = np.zeros(len(theta) + 5), np.zeros(len(theta) + 5), 0
+    theta, trans, bias = np.zeros(size), np.zeros(4), -3.0
+    m, v = np.zeros(size + 5), np.zeros(size + 5)
     pairs = np.zeros(4)
     for t in range(1, piece):
         k = active[t]
         pairs += np.bincount(2 * y[t - 1, :k] + y[t, :k], minlength=4)[:4]
-    total = float(mask.sum())
+    total = max(1.0, float(mask.sum()))
     for step in range(1, rounds + 1):
-        theta[0] = 0.0
-        em = np.exp(np.clip(bias + theta[x].sum(2), -30, 30))
+        em = np.exp(np.clip(bias + theta[words].sum(1), -30, 30))[x]
         t00, t01, t10, t11 = np.exp(trans)
         a, b = np.zeros_like(em), np.ones_like(em)
         a[0] = em[0]
@@ -219,24 +208,23 @@ def fit(texts: list[str], toxic: list[int], share: float, rounds: int = 60, piec
             b[t, :k] = (t10 + t11 * s) / (t00 + t01 * s)
         odds = a * b
         error = np.where(mask, y - odds / (1 + odds), 0.0)
-        slope = np.bincount(x.reshape(-1, width).ravel(), weights=np.repeat(error.ravel(), width), minlength=len(theta))
+        by_word = np.bincount(x.ravel(), weights=error.ravel(), minlength=len(words))
+        slope = np.bincount(words.ravel(), weights=np.repeat(by_word, WIDTH), minlength=size)
         slope[0] = 0
         g = np.concatenate([slope / total * 100 - 1e-3 * theta, [error.sum() / total * 100], (pairs - expected) / total * 100 - 1e-3 * trans])
         m, v = 0.8 * m + 0.2 * g, 0.95 * v + 0.05 * g * g
         move = 0.3 * (m / (1 - 0.8**step)) / (np.sqrt(v / (1 - 0.95**step)) + 1e-4)
-        theta += move[: len(theta)]
-        bias += move[len(theta)]
+        theta += move[:size]
+        bias += move[size]
         trans += move[-4:]
     theta[0] = 0.0
-    model = Field({f: float(theta[k]) for f, k in number.items() if abs(theta[k]) > 1e-6}, float(bias), tuple(map(float, trans)), (0.0,) * 4)
-    rest = [i for i in range(len(docs)) if i % 3 == 0]
-    z = np.array([doc_features(p) for p in model.marginals([texts[i] for i in rest])])
+    model = Field(theta.astype(np.float32), float(bias), tuple(map(float, trans)), (0.0,) * 4)
+    rest = [i for i in range(len(texts)) if i % 3 == 0]
     t = np.array([toxic[i] for i in rest], float)
     if not 0 < t.sum() < len(t):
-        rest = list(range(len(docs)))
-        z, t = np.array([doc_features(p) for p in model.marginals(texts)]), np.array(toxic, float)
-    k1 = share / max(t.mean(), 1e-9), (1 - share) / max(1 - t.mean(), 1e-9)
-    weight = np.where(t > 0, k1[0], k1[1])
+        rest, t = list(range(len(texts))), np.array(toxic, float)
+    z = np.array([doc_features(p) for p in model.marginals([texts[i] for i in rest])])
+    weight = np.where(t > 0, share / max(t.mean(), 1e-9), (1 - share) / max(1 - t.mean(), 1e-9))
     curve = np.zeros(4)
     for _ in range(50):  # Newton's method with a small ridge
         q = 1 / (1 + np.exp(-np.clip(z @ curve, -30, 30)))
@@ -244,6 +232,7 @@ def fit(texts: list[str], toxic: list[int], share: float, rounds: int = 60, piec
         delta = np.linalg.solve(h, z.T @ (weight * (t - q)) - 0.05 * curve)
         curve += np.clip(delta, -5, 5)
     model.curve = tuple(map(float, curve))
+    model.cache.clear()
     return model
 
 
