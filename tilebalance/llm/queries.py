@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import exact_dedup as dedup
-from . import decontaminate, repair, sharding, simhash, toxicity, url_filter, warc
+from . import attribution, decontaminate, pieces, repair, sharding, simhash, toxicity, url_filter, warc
 from .common import table
 
 
@@ -42,6 +42,17 @@ def op6_suffix_arrays(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op7_offset_attribution(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return attribution.attribute(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+
+
+def op8_piece_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    model = vocabulary("piece_bpe_32k.model")
+    return pieces.digest(pieces.encode(table(spark, sf_dir, "documents"), model), model)
+
+
 def op9_lookup_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", F.octet_length(F.coalesce("text", F.lit(""))).cast("bigint").alias("n_bytes"))
     return sharding.place(docs, "doc_id", sharding.shard_names()).select("doc_id", "slot", "shard", "n_bytes")
