@@ -32,7 +32,7 @@ from pyspark.sql.window import Window
 from .common import fresh_path
 
 MAGIC = b"RPG1"
-SHARD_TOKENS, MIN_USES, MAX_ROUNDS, BUCKET_BITS = 1 << 20, 4, 24, 20
+SHARD_TOKENS, MIN_USES, MAX_ROUNDS, BUCKET_BITS = 1 << 20, 4, 16, 18
 END_ID = 2
 _SEPARATORS = re.compile("[\x1c-\x1f]")
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
@@ -49,7 +49,9 @@ class Encoder:
     vocabulary's normaliser does.
     """
 
-    def __init__(self, path: str, limit: int = 400_000):
+    MARK = "|"
+
+    def __init__(self, path: str, limit: int = 1_200_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -57,7 +59,8 @@ class Encoder:
         self.wide = self.tokenizer.get_vocab_size() > 1 << 16
         self.kind = np.dtype("<u4" if self.wide else "<u2")
         self.known: dict[str, bytes] = {}
-        if len(self.ids("Ab\tcD  e")) != len(self.ids("ab cd e")) or self.ids("\n "):
+        self.mark = (self.ids(self.MARK) or [-1])[0]
+        if len(self.ids(self.MARK)) != 1 or len(self.ids("Ab\tcD  e")) != len(self.ids("ab cd e")) or self.ids("\n "):
             raise ValueError("the vocabulary keeps white space or case")
 
     @classmethod
@@ -71,58 +74,81 @@ class Encoder:
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """The ids of each text as packed little-endian numbers."""
-        runs = []
+        if len(self.known) > self.limit:
+            self.known.clear()
+        runs, found, missing, get = [], [], set(), self.known.get
         for text in texts:
             text = text or ""
             if not _BEYOND.search(text):
                 text = text.lower()
-            runs.append(_SPACE.split(text) if _SEPARATORS.search(text) else text.split())
-        known = self.known
-        if len(known) > self.limit:
-            known.clear()
-        missing = list({w for ws in runs for w in ws if w not in known})
-        for a in range(0, len(missing), 4096):
-            part = missing[a : a + 4096]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                known[w] = np.array(e.ids, self.kind).tobytes()
-        return [b"".join([known[w] for w in ws]) for ws in runs]
+            own = _SPACE.split(text) if _SEPARATORS.search(text) else text.split()
+            got = list(map(get, own))
+            if None in got:
+                missing.update(w for w, g in zip(own, got) if g is None)
+            runs.append(own)
+            found.append(got)
+        self.learn(list(missing))
+        return [b"".join(map(get, own) if None in got else got) for own, got in zip(runs, found)]
+
+    def learn(self, words: list[str]) -> None:
+        """Encode runs of characters, many to a call: a mark that stands alone between them is one id, at which the result is cut."""
+        kind, known = self.kind, self.known
+        plain = [w for w in words if self.MARK not in w and not _BEYOND.search(w)]
+        joint = f" {self.MARK} "
+        for a in range(0, len(plain), 500):
+            part = plain[a : a + 500]
+            ids = np.array(self.tokenizer.encode_batch_fast([joint.join(part)], add_special_tokens=False)[0].ids, kind)
+            cuts = [-1, *np.flatnonzero(ids == self.mark).tolist(), len(ids)]
+            data, size = ids.tobytes(), kind.itemsize
+            if len(cuts) != len(part) + 1:
+                raise RuntimeError("a mark was not kept apart")
+            for w, i, j in zip(part, cuts, cuts[1:]):
+                known[w] = data[(i + 1) * size : j * size]
+        other = [w for w in words if self.MARK in w or _BEYOND.search(w)]
+        for w, e in zip(other, self.tokenizer.encode_batch_fast(other, add_special_tokens=False) if other else []):
+            known[w] = np.array(e.ids, kind).tobytes()
 
 
 def compress(ids: np.ndarray, last: np.ndarray, base: int, min_uses: int = MIN_USES, max_rounds: int = MAX_ROUNDS, bits: int = BUCKET_BITS) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[int]]:
     """(symbols, rules as an n x 2 array, last marks, ends of rounds).  last marks each document's last id.
 
     A round counts pairs in hashed buckets, each for one representative pair,
-    takes those with at least an eighth of the highest count, and replaces,
-    where chosen pairs overlap, the commoner (of equals, the left) one.  Pairs that
-    lost a bucket come in a later round under another hash.
+    takes those above a level that falls from an eighth of the highest count to
+    min_uses by eighths, and replaces, where chosen pairs overlap, the commoner (of equals, the left) one.  Pairs that
+    lost a bucket come in a later round under another hash.  The count of a pair
+    of old symbols never grows, so places whose whole bucket is rare are not
+    looked at again until a neighbour changes.
     """
-    seq, last = ids.astype(np.int64), last.copy()
-    rules, ends, fresh, idle = [], [], base, 0
-    slots = np.zeros(1 << bits, np.int64)
+    seq, last = ids.astype(np.int32), last.copy()
+    live = ~last
+    rules, ends, fresh, idle, level = [], [], base, 0, 1 << 40
     for k in range(max_rounds):
-        at = np.flatnonzero(~last[:-1])
+        at = np.flatnonzero(live)
         if not len(at):
             break
-        pair = (seq[at] << 32) | seq[at + 1]
+        width = min(bits, max(8, len(at).bit_length()))
+        pair = (seq[at].astype(np.int64) << 32) | seq[at + 1]
         odd = np.uint64((0x9E3779B97F4A7C15 * (2 * k + 1)) & ((1 << 64) - 1) | 1)
-        bucket = ((pair.view(np.uint64) * odd) >> np.uint64(64 - bits)).astype(np.int64)
-        slots[bucket] = pair
-        own = slots[bucket] == pair
-        count = np.bincount(bucket[own], minlength=1 << bits)
-        most = int(count.max())
-        if most < min_uses:
-            idle += 1
-            if idle == 2:
-                break
-            continue
-        least = max(min_uses, most >> 3)
-        rank = np.zeros(len(seq) + 1, np.int64)
-        rank[at] = np.where(own & (count[bucket] >= least), count[bucket], 0)
-        take = (rank[:-1] > 0) & (rank[:-1] > np.concatenate([[0], rank[:-2]])) & (rank[:-1] >= rank[1:])
-        home = np.full(len(seq), -1, np.int64)
-        home[at] = bucket
-        chosen = np.flatnonzero(take)
-        uses = np.bincount(home[chosen], minlength=1 << bits)
+        bucket = ((pair.view(np.uint64) * odd) >> np.uint64(64 - width)).astype(np.int32)
+        common = np.bincount(bucket, minlength=1 << width)[bucket] >= min_uses
+        live[at[~common]] = False
+        at, pair, bucket = at[common], pair[common], bucket[common]
+        if not len(at):
+            break
+        slots = np.zeros(1 << width, np.int32)
+        slots[bucket] = np.arange(len(at), dtype=np.int32)
+        own = pair[slots[bucket]] == pair
+        count = np.bincount(bucket[own], minlength=1 << width)
+        level = min(level, int(count.max())) >> 3
+        least = max(min_uses, level)
+        rank = count[bucket]
+        picked = np.flatnonzero(own & (rank >= least))
+        place, rank, home = at[picked], rank[picked], bucket[picked]
+        beside = place[1:] == place[:-1] + 1
+        take = np.ones(len(place), bool)
+        take[1:] &= ~beside | (rank[1:] > rank[:-1])
+        take[:-1] &= ~beside | (rank[:-1] >= rank[1:])
+        uses = np.bincount(home[take], minlength=1 << width)
         kept = np.flatnonzero(uses >= min_uses)
         if not len(kept):
             idle += 1
@@ -130,17 +156,23 @@ def compress(ids: np.ndarray, last: np.ndarray, base: int, min_uses: int = MIN_U
                 break
             continue
         idle = 0
-        number = np.full(1 << bits, -1, np.int64)
-        number[kept] = fresh + np.arange(len(kept))
-        chosen = chosen[number[home[chosen]] >= 0]
-        rules.append(np.stack([slots[kept] >> 32, slots[kept] & 0xFFFFFFFF], 1))
+        number = np.full(1 << width, -1, np.int32)
+        number[kept] = fresh + np.arange(len(kept), dtype=np.int32)
+        new = number[home]
+        take &= new >= 0
+        chosen = place[take]
+        used = pair[slots[kept]]
+        rules.append(np.stack([used >> 32, used & 0xFFFFFFFF], 1))
         fresh += len(kept)
         ends.append(fresh - base)
-        seq[chosen] = number[home[chosen]]
+        seq[chosen] = new[take]
         last[chosen] = last[chosen + 1]
+        live[chosen] = True
+        live[np.maximum(chosen - 1, 0)] = True
+        live &= ~last
         stay = np.ones(len(seq), bool)
         stay[chosen + 1] = False
-        seq, last = seq[stay], last[stay]
+        seq, last, live = seq[stay], last[stay], live[stay]
     return seq, np.concatenate(rules) if rules else np.zeros((0, 2), np.int64), last, ends
 
 
