@@ -307,7 +307,7 @@ query("m_hot_spread", twins.with_(twins.assign(W["w6"], "hilbert")) + f"SELECT s
 _RADIUS = "(cx * 2 + 1 - 160) * (cx * 2 + 1 - 160) + (cy * 2 + 1 - 160) * (cy * 2 + 1 - 160) + (cz * 2 + 1 - 160) * (cz * 2 + 1 - 160)"
 
 
-@query("m_within_radius", twins.with_(twins.particles(W["w6"])) + f"SELECT step, r, round(CAST(count(*) FILTER ({_RADIUS} <= 4 * r * r) AS DOUBLE) / count(*), 6) AS inside, round(4.1887902047863905 * r * r * r / 4096000, 6) AS volume FROM p, (VALUES (25), (50)) g(r) GROUP BY ALL")
+@query("m_within_radius", twins.with_(twins.particles(W["w6"])) + f"SELECT step, r, round(CAST(count(*) FILTER ({_RADIUS} <= 4 * r * r) AS DOUBLE) / count(*), 6) AS inside, round(CAST(4.1887902047863905 AS DOUBLE) * r * r * r / 4096000, 6) AS volume FROM p, (VALUES (25), (50)) g(r) GROUP BY ALL")
 def _(spark, d):
     rows = W["w6"].particles(spark, d).withColumn("r", F.explode(F.array(F.lit(25), F.lit(50))))
     return rows.groupBy("step", "r").agg(F.round(F.count_if(F.expr(f"{_RADIUS} <= 4 * r * r")) / F.count("*"), 6).alias("inside")).withColumn("volume", F.round(F.lit(4.1887902047863905) * F.col("r") * F.col("r") * F.col("r") / 4096000, 6))
