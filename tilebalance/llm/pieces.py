@@ -72,7 +72,7 @@ def _fields(data: bytes) -> Iterator[tuple[int, int, bytes | int]]:
 class Pieces:
     """A vocabulary as a lattice of scored pieces."""
 
-    def __init__(self, path: str, limit: int = 400_000):
+    def __init__(self, path: str, limit: int = 900_000):
         with open(path, "rb") as f:
             data = f.read()
         self.pieces: list[tuple[str, float, int]] = []
@@ -111,6 +111,7 @@ class Pieces:
         self.alone = lambda c: c != SPACE and c not in inner
         self.known: dict[str, tuple[float, bytes]] = {}
         self.limit = limit
+        self.tables: list[tuple[int, np.ndarray, np.ndarray]] = []
 
     @classmethod
     def at(cls, path: str) -> "Pieces":
@@ -170,9 +171,93 @@ class Pieces:
             found = self.known[text] = best[-1], self.ids_on(text, self.path(text, back, len(text))[0])
         return found
 
-    def encode(self, text: str | None) -> np.ndarray:
+    def learn(self, units: set[str]) -> None:
+        """Solve many stretches at once: those of one length go through the recurrence of forward() side by side."""
+        if len(self.known) + len(units) > self.limit:
+            self.known.clear()
+        by: dict[int, list[str]] = {}
+        for u in units:
+            by.setdefault(len(u), []).append(u)
+        for n, own in by.items():
+            if n > 48 or len(own) < 8:
+                for u in own:
+                    self.unit(u)
+                continue
+            for a in range(0, len(own), 20_000):
+                self._solve(n, own[a : a + 20_000])
+
+    def _table(self) -> list[tuple[int, np.ndarray, np.ndarray]]:
+        """Pieces by a polynomial hash of their characters: (multiplier, hash in each slot, score in each slot), a second table for those whose slot was taken."""
+        if not self.tables:
+            base = np.array([self._hash(p) for p in self.score], np.uint64)
+            scores = np.array(list(self.score.values()))
+            left, odd = np.arange(len(base)), 0x9E3779B97F4A7C15
+            while len(left):
+                slot = ((base[left] * np.uint64(odd)) >> np.uint64(44)).astype(np.int64)
+                _, first = np.unique(slot, return_index=True)
+                hashes, values = np.zeros(1 << 20, np.uint64), np.full(1 << 20, NONE)
+                hashes[slot[first]], values[slot[first]] = base[left[first]], scores[left[first]]
+                self.tables.append((odd, hashes, values))
+                left = np.delete(left, first)
+                odd = (odd * 0xD1342543DE82EF95 + 2) & ((1 << 64) - 1) | 1
+        return self.tables
+
+    @staticmethod
+    def _hash(text: str) -> int:
+        out = 0
+        for c in text:
+            out = (out * 0x100000001B3 + ord(c) + 1) & ((1 << 64) - 1)
+        return out
+
+    def _solve(self, n: int, own: list[str]) -> None:
+        codes = np.frombuffer("".join(own).encode("utf-32-le"), "<u4").reshape(len(own), n).T.astype(np.uint64)
+        times, tables = np.uint64(0x100000001B3), self._table()
+        best, back = np.full((n + 1, len(own)), NONE), np.zeros((n + 1, len(own)), np.int8)
+        best[0] = 0.0
+        for a in range(n):  # starts in rising order: of equal scores the earliest start stays
+            h = np.zeros(len(own), np.uint64)
+            for e in range(a + 1, min(n, a + self.longest) + 1):
+                h = h * times + codes[e - 1] + np.uint64(1)
+                score = np.full(len(own), NONE)
+                for odd, hashes, values in tables:
+                    slot = ((h * np.uint64(odd)) >> np.uint64(44)).astype(np.int64)
+                    hit = hashes[slot] == h
+                    score[hit] = values[slot[hit]]
+                if e == a + 1:
+                    score[score == NONE] = self.unknown
+                score += best[a]
+                better = score > best[e]
+                best[e][better] = score[better]
+                back[e][better] = a
+        ids, unknown_ids = self.id.get, self.ids_of
+        starts = back.T.tolist()
+        for k, u in enumerate(own):
+            out, e = [], n
+            while e:
+                a = starts[k][e]
+                i = ids(u[a:e])
+                if i is not None:
+                    out.append(i)
+                elif e == a + 1:
+                    out += unknown_ids(u[a:e])[::-1]
+                else:  # two strings of one hash: solve this one by itself
+                    self.unit(u)
+                    break
+                e = a
+            else:
+                self.known[u] = float(best[n, k]), np.array(out[::-1], "<u4").tobytes()
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        """Packed ids of several texts."""
+        get = self.known.get
+        rows = [self.units.findall(self.escaped(t)) for t in texts]
+        found = [list(map(get, row)) for row in rows]
+        self.learn({u for row, got in zip(rows, found) if None in got for u, g in zip(row, got) if g is None})
         unit = self.unit
-        return np.frombuffer(b"".join([unit(u)[1] for u in self.units.findall(self.escaped(text or ""))]), "<u4")
+        return [b"".join([(g or unit(u))[1] for u, g in zip(row, got)] if None in got else [g[1] for g in got]) for row, got in zip(rows, found)]
+
+    def encode(self, text: str | None) -> np.ndarray:
+        return np.frombuffer(self.encode_all([text or ""])[0], "<u4")
 
     def decode(self, ids: np.ndarray) -> str:
         text = b"".join(map(self.raw.__getitem__, ids.tolist())).decode("utf-8", "replace").replace(SPACE, " ")
@@ -291,7 +376,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
         for batch in batches:
             for a in range(0, batch.num_rows, 512):
                 part = batch.slice(a, 512)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([own.encode(t).tobytes() for t in part.column(1).to_pylist()], pa.binary()), pa.array([1] * part.num_rows, pa.int64())], names=["doc_id", "ids", "n_chunks"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(own.encode_all(part.column(1).to_pylist()), pa.binary()), pa.array([1] * part.num_rows, pa.int64())], names=["doc_id", "ids", "n_chunks"])
 
     small = rows.where(F.length("text") <= chunk).mapInArrow(plain, "doc_id bigint, ids binary, n_chunks bigint")
 
@@ -315,6 +400,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
         own = Pieces.at(model)
         for batch in batches:
             row, k, left, text = [c.to_pylist() for c in batch.columns]
+            own.learn({u for t in text for u in own.units.findall(t)} - own.known.keys())
             yield pa.RecordBatch.from_arrays([pa.array(row, pa.int64()), pa.array(k, pa.int64()), pa.array([own.matrix(a, b).tobytes() for a, b in zip(left, text)], pa.binary())], names=["row", "k", "m"])
 
     def combine(key, part):
@@ -330,6 +416,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
         own = Pieces.at(model)
         for batch in batches:
             row, doc, k, left, text, enter = [c.to_pylist() for c in batch.columns]
+            own.learn({u for t in text for u in own.units.findall(t)} - own.known.keys())
             got = [own.trace(a, b, np.frombuffer(e, np.float64)) for a, b, e in zip(left, text, enter)]
             yield pa.RecordBatch.from_arrays(
                 [pa.array(row, pa.int64()), pa.array(doc, pa.int64()), pa.array(k, pa.int64()), pa.array([g[0] for g in got], pa.binary()), pa.array([g[1] for g in got], pa.list_(pa.binary())), pa.array([g[2] for g in got], pa.list_(pa.int64()))],
