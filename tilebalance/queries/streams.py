@@ -1 +1,67 @@
-"""To come."""
+"""Streams of events; the twins are batch SQL over the same rows."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from ..streaming import events
+from . import query
+
+_DAY = "CAST(date_trunc('day', ts) AS DATE)"
+_TILE = "user_id % 16 + least(15, CAST(floor(value / 16) AS BIGINT)) * 16"
+
+
+@query("st_tumbling", f"SELECT {_DAY} AS day, {_TILE} AS tile_id, count(*) AS n_part FROM events GROUP BY ALL")
+def _(spark, d):
+    return events.drain(events.tile_counts(events.source(spark, d)), "complete").select(F.to_date("w.start").alias("day"), "tile_id", "n_part")
+
+
+@query("st_sliding", f"SELECT day, sum(n) AS n FROM (SELECT {_DAY} AS day, count(*) AS n FROM events GROUP BY 1 UNION ALL SELECT {_DAY} - 1, count(*) FROM events GROUP BY 1) GROUP BY day")
+def _(spark, d):
+    rows = events.source(spark, d).withWatermark("ts", "1 day").groupBy(F.window("ts", "2 days", "1 day").alias("w")).agg(F.count("*").alias("n"))
+    return events.drain(rows, "complete").select(F.to_date("w.start").alias("day"), "n")
+
+
+@query("st_session", "SELECT user_id, count(*) AS n_sessions FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS p FROM events) WHERE p IS NULL OR ts - p >= INTERVAL 6 HOUR GROUP BY 1")
+def _(spark, d):
+    rows = events.source(spark, d).withWatermark("ts", "1 day").groupBy(F.session_window("ts", "6 hours"), "user_id").agg(F.count("*").alias("n"))
+    return events.drain(rows, "complete").groupBy("user_id").agg(F.count("*").alias("n_sessions"))
+
+
+@query("st_dedup", "SELECT user_id, event_type FROM events GROUP BY ALL")
+def _(spark, d):
+    rows = events.source(spark, d).withWatermark("ts", "60 days").dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("user_id", "event_type")
+    return events.drain(rows)
+
+
+@query("st_static_join", f"SELECT pe, count(*) AS n FROM (SELECT ({_TILE}) // 32 AS pe FROM events) GROUP BY 1")
+def _(spark, d):
+    """Each event meets the map of its tile."""
+    maps = spark.range(256).select(F.col("id").alias("tile_id"), F.expr("id div 32").alias("pe"))
+    rows = events.source(spark, d).withColumn("tile_id", F.expr("user_id % 16 + least(15, cast(floor(value / 16) AS bigint)) * 16")).join(F.broadcast(maps), "tile_id").groupBy("pe").agg(F.count("*").alias("n"))
+    return events.drain(rows, "complete")
+
+
+@query("st_interval_join", "SELECT count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
+def _(spark, d):
+    a = events.source(spark, d).select(F.col("user_id").alias("u"), F.col("ts").alias("ta")).withWatermark("ta", "1 day")
+    b = events.source(spark, d).select(F.col("user_id").alias("v"), F.col("ts").alias("tb")).withWatermark("tb", "1 day")
+    return events.drain(a.join(b, F.expr("u = v AND tb > ta AND tb <= ta + INTERVAL 1 HOUR"))).agg(F.count("*").alias("n"))
+
+
+@query("st_rebalance")
+def _(spark, d):
+    """Each batch's counts make a new map of 8 groups; the imbalance of each batch under its map."""
+    from .. import decomp, metrics
+    from ..lattice import Domain
+    from ..load import load_array
+
+    dom, found = Domain((16, 16), (1, 1), order=0), []
+
+    def act(batch, number):
+        cells = batch.selectExpr(f"{number} AS step", "user_id % 16 AS cx", "least(15, cast(floor(value / 16) AS bigint)) AS cy")
+        load = load_array(cells, dom)
+        found.extend(metrics.imbalance(decomp.decompose(load, dom, 8, "hilbert"), 8).collect())  # one row a batch
+
+    events.each_batch(events.source(spark, d), act)
+    return spark.createDataFrame([(r.step, float(r.imbalance)) for r in found], "batch int, imbalance double")
