@@ -9,6 +9,8 @@ SF = "/root/testdata/sf0.001"
 #: Long ones run in the driver's comparison at the larger size only.
 SLOW = {"exp_wake_table", "m_core_load", "m_best_config", "m_speedup", "m_thread_sensitivity", "m_time_norm", "m_throughput_model", "exp_strong_scaling", "m_scaling", "m_ideal_up_to", "exp_ball_small_tiles", "thr_bounds", "bal_interval_sweep", "exp_wake_series"}
 QUERIES = load_all()
+#: Of the maps of the four plane workloads two are compared here, all of them by the driver.
+SLOW |= {n for n in QUERIES if n.startswith("part_") and n.endswith(("_w1", "_w9", "_w10"))}
 
 
 @pytest.mark.parametrize("name", sorted(set(QUERIES) - SLOW))
