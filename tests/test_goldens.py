@@ -156,3 +156,11 @@ def test_same_result_under_other_partitioning(spark):
         out.append(sorted(map(tuple, decomp.decompose(load_array(rows, v.dom, v.weight), v.dom, 32, "hilbert").select("step", "tile_id", "pe").collect())))
     spark.conf.set("spark.sql.shuffle.partitions", "4")
     assert out[0] == out[1]
+
+
+def test_sql_text_gives_the_same_load(spark):
+    from tilebalance.queries import load_all
+
+    v = W["w7"]
+    own = load_array(v.particles(spark, SF), v.dom, v.weight).where("step = 50")
+    assert sorted((r.tx, r.ty, r.load_u) for r in own.collect()) == sorted((r.tx, r.ty, r.load_u) for r in load_all()["op_sql_surface"][0](spark, SF).collect())
