@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from .common import materialise
 
-CHUNK = 16_384
+CHUNK, TOGETHER = 16_384, 256
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = range(1, 7)
 SPACE = "▁"
 NONE = -np.inf
@@ -72,7 +72,7 @@ def _fields(data: bytes) -> Iterator[tuple[int, int, bytes | int]]:
 class Pieces:
     """A vocabulary as a lattice of scored pieces."""
 
-    def __init__(self, path: str, limit: int = 900_000):
+    def __init__(self, path: str, limit: int = 400_000):
         with open(path, "rb") as f:
             data = f.read()
         self.pieces: list[tuple[str, float, int]] = []
@@ -109,7 +109,7 @@ class Pieces:
         own = "".join(map(re.escape, sorted(inner)))
         self.units = re.compile(f"{SPACE}*[{own}]+|{SPACE}+|.", re.S)
         self.alone = lambda c: c != SPACE and c not in inner
-        self.known: dict[str, tuple[float, bytes]] = {}
+        self.known: dict[str, bytes] = {}
         self.limit = limit
         self.tables: list[tuple[int, np.ndarray, np.ndarray]] = []
 
@@ -161,14 +161,14 @@ class Pieces:
     def ids_on(self, text: str, cuts: list[int]) -> bytes:
         return np.array([i for a, b in zip(cuts, cuts[1:]) for i in self.ids_of(text[a:b])], "<u4").tobytes()
 
-    def unit(self, text: str) -> tuple[float, bytes]:
-        """Score and ids of a stretch between two forced boundaries."""
+    def unit(self, text: str) -> bytes:
+        """Ids of a stretch between two forced boundaries."""
         found = self.known.get(text)
         if found is None:
             if len(self.known) >= self.limit:
                 self.known.clear()
-            best, back = self.forward(text, {0: 0.0}, 1)
-            found = self.known[text] = best[-1], self.ids_on(text, self.path(text, back, len(text))[0])
+            _, back = self.forward(text, {0: 0.0}, 1)
+            found = self.known[text] = self.ids_on(text, self.path(text, back, len(text))[0])
         return found
 
     def learn(self, units: set[str]) -> None:
@@ -179,7 +179,7 @@ class Pieces:
         for u in units:
             by.setdefault(len(u), []).append(u)
         for n, own in by.items():
-            if n > 48 or len(own) < 8:
+            if n > 48 or len(own) < 48:
                 for u in own:
                     self.unit(u)
                 continue
@@ -245,7 +245,7 @@ class Pieces:
                     break
                 e = a
             else:
-                self.known[u] = float(best[n, k]), np.array(out[::-1], "<u4").tobytes()
+                self.known[u] = np.array(out[::-1], "<u4").tobytes()
 
     def encode_all(self, texts: list[str]) -> list[bytes]:
         """Packed ids of several texts."""
@@ -254,7 +254,7 @@ class Pieces:
         found = [list(map(get, row)) for row in rows]
         self.learn({u for row, got in zip(rows, found) if None in got for u, g in zip(row, got) if g is None})
         unit = self.unit
-        return [b"".join([(g or unit(u))[1] for u, g in zip(row, got)] if None in got else [g[1] for g in got]) for row, got in zip(rows, found)]
+        return [b"".join([g or unit(u) for u, g in zip(row, got)] if None in got else got) for row, got in zip(rows, found)]
 
     def encode(self, text: str | None) -> np.ndarray:
         return np.frombuffer(self.encode_all([text or ""])[0], "<u4")
@@ -273,14 +273,16 @@ class Pieces:
         return (units, first, last) if first <= last and first < len(chunk) else None
 
     def matrix(self, left: str, chunk: str) -> np.ndarray:
-        """T[s, t]: best score from boundary -s to boundary len - t, with none in (-s, 0] nor in (len - t, len]."""
+        """T[s, t]: best score from boundary -s to boundary len - t, with none in (-s, 0] nor in (len - t, len].
+
+        Only differences within a matrix count.  Between a chunk's first and last
+        forced boundary all paths share one best score, which is left out.
+        """
         k, n, w = self.longest, len(chunk), len(left)
         text = left + chunk
         out = np.full((k, k), NONE)
         if found := self.parts(left, chunk):
-            units, first, last = found
-            inner = units if first == 0 else units[1:]
-            middle = sum(self.unit(u)[0] for u in inner[:-1])
+            _, first, last = found
             enter = np.full(k, NONE)
             if first == 0:
                 enter[0] = 0.0
@@ -293,7 +295,7 @@ class Pieces:
             best, _ = self.forward(chunk[last:], {0: 0.0}, 1)
             for t in range(min(k, n - last + 1)):
                 leave[t] = best[n - last - t]
-            return enter[:, None] + middle + leave[None, :]
+            return enter[:, None] + leave[None, :]
         for s in range(min(k, w + 1)):
             best, _ = self.forward(text[w - s :], {0: 0.0}, s + 1)
             for t in range(min(k, n)):
@@ -315,7 +317,7 @@ class Pieces:
                 _, back = self.forward(head, init, w + 1)
                 cuts, begin = self.path(head, back, w + first)
                 shared, source, inner = self.ids_on(head, cuts), w - begin, units[1:]
-            shared += b"".join(self.unit(u)[1] for u in inner[:-1])
+            shared += b"".join(map(self.unit, inner[:-1]))
             tail = chunk[last:]
             best, back = self.forward(tail, {0: 0.0}, 1)
             ends = [self.ids_on(tail, self.path(tail, back, n - last - t)[0]) if t <= n - last and best[n - last - t] > NONE else None for t in range(k)]
@@ -374,8 +376,8 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
     def plain(batches):
         own = Pieces.at(model)
         for batch in batches:
-            for a in range(0, batch.num_rows, 512):
-                part = batch.slice(a, 512)
+            for a in range(0, batch.num_rows, TOGETHER):
+                part = batch.slice(a, TOGETHER)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(own.encode_all(part.column(1).to_pylist()), pa.binary()), pa.array([1] * part.num_rows, pa.int64())], names=["doc_id", "ids", "n_chunks"])
 
     small = rows.where(F.length("text") <= chunk).mapInArrow(plain, "doc_id bigint, ids binary, n_chunks bigint")
@@ -399,9 +401,10 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
     def matrices(batches):
         own = Pieces.at(model)
         for batch in batches:
-            row, k, left, text = [c.to_pylist() for c in batch.columns]
-            own.learn({u for t in text for u in own.units.findall(t)} - own.known.keys())
-            yield pa.RecordBatch.from_arrays([pa.array(row, pa.int64()), pa.array(k, pa.int64()), pa.array([own.matrix(a, b).tobytes() for a, b in zip(left, text)], pa.binary())], names=["row", "k", "m"])
+            for a in range(0, batch.num_rows, TOGETHER):
+                part = batch.slice(a, TOGETHER)
+                found = [own.matrix(left, text).tobytes() for left, text in zip(part.column(2).to_pylist(), part.column(3).to_pylist())]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(found, pa.binary())], names=["row", "k", "m"])
 
     def combine(key, part):
         part = part.sort_values("k")
@@ -415,13 +418,15 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
     def traces(batches):
         own = Pieces.at(model)
         for batch in batches:
-            row, doc, k, left, text, enter = [c.to_pylist() for c in batch.columns]
-            own.learn({u for t in text for u in own.units.findall(t)} - own.known.keys())
-            got = [own.trace(a, b, np.frombuffer(e, np.float64)) for a, b, e in zip(left, text, enter)]
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(row, pa.int64()), pa.array(doc, pa.int64()), pa.array(k, pa.int64()), pa.array([g[0] for g in got], pa.binary()), pa.array([g[1] for g in got], pa.list_(pa.binary())), pa.array([g[2] for g in got], pa.list_(pa.int64()))],
-                names=["row", "doc_id", "k", "shared", "ends", "sources"],
-            )
+            for a in range(0, batch.num_rows, TOGETHER):
+                part = batch.slice(a, TOGETHER)
+                left, text, enter = [c.to_pylist() for c in part.columns[3:]]
+                own.learn({u for t in text for u in own.units.findall(t)} - own.known.keys())
+                got = [own.trace(x, y, np.frombuffer(e, np.float64)) for x, y, e in zip(left, text, enter)]
+                yield pa.RecordBatch.from_arrays(
+                    [*part.columns[:3], pa.array([g[0] for g in got], pa.binary()), pa.array([g[1] for g in got], pa.list_(pa.binary())), pa.array([g[2] for g in got], pa.list_(pa.int64()))],
+                    names=["row", "doc_id", "k", "shared", "ends", "sources"],
+                )
 
     traced = chunks.join(entered, ["row", "k"]).select("row", "doc_id", "k", "head", "body", "enter").mapInArrow(traces, "row bigint, doc_id bigint, k bigint, shared binary, ends array<binary>, sources array<bigint>")
 
