@@ -108,3 +108,12 @@ def test_warc_truncated_file(spark, tmp_path):
     (tmp_path / "w" / "x.warc").write_bytes(data[:-2])
     got = warc.read(spark, str(tmp_path / "w")).collect()
     assert sum(not r.complete for r in got) == 1 and len(got) == 13
+
+
+def test_remembered_words_equal_the_library_on_odd_texts():
+    own = repair.Encoder.at(VOCABULARY)
+    for text in [
+        "<|endoftext|>x, <|ENDOFTEXT|>. A<|startoftext|>", "É, ŠKODA, İstanbul. naïve! it's, IT'S. 'S, a1. ½, x½. ª. º, ß. a|b, |, | |.", "word,, a_. _, ΣΑΣ. don't. 10.000, a\x1cb. c\x85d",
+        ".,", ",", "", " \n", "中文。日本語, abc, Abc, ABC", "À, é. Ñ œuvre; ŀ: þ?",
+    ]:
+        assert np.frombuffer(own.encode([text])[0], own.kind).tolist() == own.ids(text)

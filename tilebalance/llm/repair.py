@@ -21,6 +21,7 @@ import os
 import re
 import struct
 import zlib
+from array import array
 from dataclasses import dataclass
 
 import numpy as np
@@ -62,6 +63,12 @@ class Encoder:
         self.mark = (self.ids(self.MARK) or [-1])[0]
         if len(self.ids(self.MARK)) != 1 or len(self.ids("Ab\tcD  e")) != len(self.ids("ab cd e")) or self.ids("\n "):
             raise ValueError("the vocabulary keeps white space or case")
+        shown = sorted({*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)})
+        self.model = self.tokenizer.model
+        self.letters = dict(zip(sorted(set(range(256)) - set(shown)), range(256, 512)))
+        words = ["cloudberry", "stra\xdfe", "na\xefve", "\xe0\xf1\xfe", "z"]
+        self.direct = self.tokenizer.pre_tokenizer is not None and all(self.word(w) == np.array(self.ids(w), self.kind).tobytes() for w in words)
+        self.tails = "".join(t for t in ".,;:!?" if all(self.ids(w + t) == self.ids(w) + self.ids(t) for w in [*words, "it's", "a1"]))
 
     @classmethod
     def at(cls, path: str) -> "Encoder":
@@ -79,7 +86,7 @@ class Encoder:
         runs, found, missing, get = [], [], set(), self.known.get
         for text in texts:
             text = text or ""
-            if not _BEYOND.search(text):
+            if not _BEYOND.search(text) and "<|" not in text:  # special tokens keep their case
                 text = text.lower()
             own = _SPACE.split(text) if _SEPARATORS.search(text) else text.split()
             got = list(map(get, own))
@@ -90,8 +97,26 @@ class Encoder:
         self.learn(list(missing))
         return [b"".join(map(get, own) if None in got else got) for own, got in zip(runs, found)]
 
+    def word(self, word: str) -> bytes:
+        """Ids of lower-case Latin letters by the library's model alone: nothing is to be normalised or cut there."""
+        if not word.isascii():
+            word = word.encode().decode("latin-1").translate(self.letters)
+        return array(self.kind.char, [t.id for t in self.model.tokenize(word)]).tobytes()
+
     def learn(self, words: list[str]) -> None:
-        """Encode runs of characters, many to a call: a mark that stands alone between them is one id, at which the result is cut."""
+        """Encode runs of characters.  A mark after a letter or digit is a token of its own, so such a run is its core's ids and the mark's."""
+        known, tails = self.known, self.tails
+        cored = [w for w in words if w[-1] in tails and w[-2:-1].isalnum() and not _BEYOND.search(w)]
+        whole = {*words}.difference(cored).union([w[:-1] for w in cored], {w[-1] for w in cored}).difference(known)
+        letters = [w for w in whole if self.direct and w.isalpha() and w.islower() and not _BEYOND.search(w)]
+        for w in letters:
+            known[w] = self.word(w)
+        self.learn_runs(list(whole.difference(letters)))
+        for w in cored:
+            known[w] = known[w[:-1]] + known[w[-1]]
+
+    def learn_runs(self, words: list[str]) -> None:
+        """Encode any runs, many to a call: a mark that stands alone between them is one id, at which the result is cut."""
         kind, known = self.kind, self.known
         plain = [w for w in words if self.MARK not in w and not _BEYOND.search(w)]
         joint = f" {self.MARK} "
