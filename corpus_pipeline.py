@@ -11,7 +11,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tilebalance.llm import decontaminate, exact_dedup, pieces, simhash, toxicity
+from tilebalance.llm import decontaminate, exact_dedup, near_copies, pieces, toxicity
 from tilebalance.llm.common import materialise, table
 
 TOXIC_FROM = 0.5
@@ -31,10 +31,8 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, that with the smallest doc_id, of each group of near copies."""
-    groups = simhash.near_groups(docs)
-    kept = groups.where("doc_id <=> component_id").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(kept, docs.doc_id.eqNullSafe(kept["_id"]), "left_semi")
+    """One document, that with the smallest doc_id, of each group of near copies: 5-word shingles, similarity 0.8 or more."""
+    return near_copies.first_of_group(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
