@@ -33,7 +33,7 @@ from pyspark.sql.window import Window
 from .common import fresh_path
 
 MAGIC = b"RPG1"
-SHARD_TOKENS, MIN_USES, MAX_ROUNDS, BUCKET_BITS = 1 << 20, 4, 16, 18
+SHARD_TOKENS, MIN_USES, BUCKET_BITS = 1 << 20, 4, 18
 END_ID = 2
 _SEPARATORS = re.compile("[\x1c-\x1f]")
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
@@ -134,54 +134,66 @@ class Encoder:
             known[w] = np.array(e.ids, kind).tobytes()
 
 
-def compress(ids: np.ndarray, last: np.ndarray, base: int, min_uses: int = MIN_USES, max_rounds: int = MAX_ROUNDS, bits: int = BUCKET_BITS) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[int]]:
+def compress(ids: np.ndarray, last: np.ndarray, base: int, min_uses: int = MIN_USES, bits: int = BUCKET_BITS) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[int]]:
     """(symbols, rules as an n x 2 array, last marks, ends of rounds).  last marks each document's last id.
 
     A round counts pairs in hashed buckets, each for one representative pair,
     takes those above a level that falls from an eighth of the highest count to
-    min_uses by eighths, and replaces, where chosen pairs overlap, the commoner (of equals, the left) one.  Pairs that
-    lost a bucket come in a later round under another hash.  The count of a pair
-    of old symbols never grows, so places whose whole bucket is rare are not
-    looked at again until a neighbour changes.
+    min_uses by eighths, and replaces, where chosen pairs overlap, the commoner
+    (of equals, that of the higher bucket) one; in a run of one symbol every
+    second place is taken.  Pairs that lost a bucket come in a later round under
+    another hash.  The count of a pair of old symbols never grows, so places
+    whose whole bucket is rare are not looked at again until a neighbour changes.
+
+    A round that replaces nothing at the lowest level is followed by one that
+    counts every pair exactly, without overlaps.  There the first in rank gets
+    all its uses, so such a round replaces something or no pair is frequent,
+    which alone ends the loop.
     """
     seq, last = ids.astype(np.int32), last.copy()
     live = ~last
-    rules, ends, fresh, idle, level = [], [], base, 0, 1 << 40
-    for k in range(max_rounds):
+    rules, ends, fresh, exact, level, k = [], [], base, False, 1 << 40, 0
+    while True:
         at = np.flatnonzero(live)
         if not len(at):
             break
-        width = min(bits, max(8, len(at).bit_length()))
         pair = (seq[at].astype(np.int64) << 32) | seq[at + 1]
-        odd = np.uint64((0x9E3779B97F4A7C15 * (2 * k + 1)) & ((1 << 64) - 1) | 1)
-        bucket = ((pair.view(np.uint64) * odd) >> np.uint64(64 - width)).astype(np.int32)
-        common = np.bincount(bucket, minlength=1 << width)[bucket] >= min_uses
+        if exact:
+            _, bucket = np.unique(pair, return_inverse=True)
+            n_buckets = int(bucket.max()) + 1
+            use = _places(at, bucket)
+            common = np.bincount(bucket[use], minlength=n_buckets)[bucket] >= min_uses
+        else:
+            width = min(bits, max(8, len(at).bit_length()))
+            n_buckets = 1 << width
+            odd = np.uint64((0x9E3779B97F4A7C15 * (2 * k + 1)) & ((1 << 64) - 1) | 1)
+            bucket = ((pair.view(np.uint64) * odd) >> np.uint64(64 - width)).astype(np.int32)
+            common = np.bincount(bucket, minlength=n_buckets)[bucket] >= min_uses
+        k += 1
         live[at[~common]] = False
         at, pair, bucket = at[common], pair[common], bucket[common]
         if not len(at):
             break
-        slots = np.zeros(1 << width, np.int32)
+        slots = np.zeros(n_buckets, np.int32)
         slots[bucket] = np.arange(len(at), dtype=np.int32)
         own = pair[slots[bucket]] == pair
-        count = np.bincount(bucket[own], minlength=1 << width)
+        count = np.bincount(bucket[own], minlength=n_buckets)
         level = min(level, int(count.max())) >> 3
         least = max(min_uses, level)
-        rank = count[bucket]
-        picked = np.flatnonzero(own & (rank >= least))
-        place, rank, home = at[picked], rank[picked], bucket[picked]
+        picked = np.flatnonzero(own & (count[bucket] >= least))
+        place, home = at[picked], bucket[picked]
+        rank = count[home] * n_buckets + home
+        take = _places(place, home)
         beside = place[1:] == place[:-1] + 1
-        take = np.ones(len(place), bool)
-        take[1:] &= ~beside | (rank[1:] > rank[:-1])
+        take[1:] &= ~beside | (rank[1:] >= rank[:-1])
         take[:-1] &= ~beside | (rank[:-1] >= rank[1:])
-        uses = np.bincount(home[take], minlength=1 << width)
+        uses = np.bincount(home[take], minlength=n_buckets)
         kept = np.flatnonzero(uses >= min_uses)
         if not len(kept):
-            idle += 1
-            if idle == 2:
-                break
+            exact = least == min_uses
             continue
-        idle = 0
-        number = np.full(1 << width, -1, np.int32)
+        exact = False
+        number = np.full(n_buckets, -1, np.int32)
         number[kept] = fresh + np.arange(len(kept), dtype=np.int32)
         new = number[home]
         take &= new >= 0
@@ -201,6 +213,14 @@ def compress(ids: np.ndarray, last: np.ndarray, base: int, min_uses: int = MIN_U
     return seq, np.concatenate(rules) if rules else np.zeros((0, 2), np.int64), last, ends
 
 
+def _places(place: np.ndarray, home: np.ndarray) -> np.ndarray:
+    """Of each stretch of neighbouring places of one pair, that is a run of one symbol, every second place from the left."""
+    starts = np.ones(len(place), bool)
+    starts[1:] = (place[1:] != place[:-1] + 1) | (home[1:] != home[:-1])
+    index = np.arange(len(place))
+    return (index - np.maximum.accumulate(np.where(starts, index, 0))) % 2 == 0
+
+
 def pack(doc_ids: list[int | None], starts: list[int], docs: list[np.ndarray], base: int, **options) -> bytes:
     """One shard file.  Every document has at least one id."""
     sizes = np.array([len(d) for d in docs], np.int64)
