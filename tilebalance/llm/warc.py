@@ -65,7 +65,7 @@ _HEADER = re.compile(rb"(?im)^([!-9;-~]+):[ \t]*(.*?)\r?$")
 
 def parse_head(piece: bytes) -> tuple[int, dict[str, str]] | None:
     """(bytes of the header with its blank line, fields by lower-case name) of what follows a version line; null unless it has a proper Content-Length."""
-    end = piece.find(b"\r\n\r\n", 0, 1 << 20)
+    end = piece.find(b"\r\n\r\n")
     if end < 0:
         return None
     fields = {k.decode("latin-1").lower(): v.decode("utf-8", "replace") for k, v in _HEADER.findall(piece[:end])}
@@ -129,7 +129,7 @@ def jump(at: np.ndarray, following: np.ndarray) -> np.ndarray:
 
 
 def chain(spark: SparkSession, path: str) -> DataFrame:
-    """Reachable records with offset and next_offset (of the uncompressed file), and `whole`: body and tail lie in one piece.  A file's last record may be cut short: `complete` is false then."""
+    """Reachable records with offset and next_offset (of the uncompressed file), and `whole`: body and tail lie in one piece.  A file's last record may be cut short: `complete` is false then.  A chain that ends before its file does raises ValueError."""
     found = materialise(candidates(spark, path), "candidates")
     sums = found.groupBy("file", "block").agg(F.sum(F.col("seg_len") + _SEP).alias("n"))
     earlier = Window.partitionBy("file").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
@@ -137,10 +137,15 @@ def chain(spark: SparkSession, path: str) -> DataFrame:
     bases = sums.select("file", "block", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("base"), (F.sum("n").over(size) - _SEP).alias("file_bytes"))
     placed = found.join(bases, ["file", "block"]).withColumn("offset", F.col("base") + F.col("rel") - _SEP)
     placed = placed.withColumn("next_offset", F.col("offset") + _SEP + F.col("head") + F.col("length") + len(TAIL))
-    pairs = placed.where("offset >= 0 and next_offset is not null").select("file", "offset", "next_offset")
+    pairs = placed.select("file", "offset", F.coalesce("next_offset", F.lit(-1)).alias("next_offset"), "file_bytes")
 
     def run(key, rows):
-        return rows.loc[jump(rows["offset"].to_numpy(), rows["next_offset"].to_numpy()), ["file", "offset"]]
+        size = int(rows["file_bytes"].iloc[0])
+        rows = rows[(rows["offset"] >= 0) & (rows["next_offset"] >= 0)]
+        rows = rows[jump(rows["offset"].to_numpy(), rows["next_offset"].to_numpy())]
+        if (end := int(rows["next_offset"].max()) if len(rows) else 0) < size:
+            raise ValueError(f"{key[0]}: the chain of records ends at byte {end} of {size}")
+        return rows[["file", "offset"]]
 
     reached = pairs.groupBy("file").applyInPandas(run, "file string, offset bigint")
     return placed.join(reached, ["file", "offset"]).select(
