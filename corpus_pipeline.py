@@ -26,8 +26,9 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts the row with the largest doc_id."""
-    kept = exact_dedup.exact_dedup(docs).where("kept").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(kept, docs.doc_id.eqNullSafe(kept["_id"]), "left_semi")
+    kept = exact_dedup.exact_dedup(docs).where("kept").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha")).distinct()
+    sha = F.sha2(F.coalesce(docs.text, F.lit("")).cast("binary"), 256)
+    return docs.join(kept, docs.doc_id.eqNullSafe(kept["_id"]) & (sha == kept["_sha"]), "left_semi")
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,8 +38,9 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without any benchmark window."""
-    clean = decontaminate.report(docs, table(spark, sf_dir, "benchmark")).where("not contaminated").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(clean, docs.doc_id.eqNullSafe(clean["_id"]), "left_semi")
+    rows = materialise(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
+    clean = decontaminate.report(rows, table(spark, sf_dir, "benchmark"), id_col="_row").where("not contaminated").select(F.col("doc_id").alias("_row"))
+    return rows.join(clean, "_row", "left_semi").select(*docs.columns)
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
