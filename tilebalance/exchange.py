@@ -75,6 +75,30 @@ def halo(mesh: DataFrame, dom: Domain, width: int = 1) -> DataFrame:
     return reduce(DataFrame.unionByName, out)
 
 
+def two_pass(mesh: DataFrame, dom: Domain, assigned: DataFrame, width: int = 1) -> tuple[DataFrame, DataFrame]:
+    """First pass, for all tiles: guard cells between tiles of one group, in place, and the others packed into one buffer (src_pe, dst_pe, axis, cells) for each message."""
+    own = halo(mesh, dom, width).withColumns({t: F.expr(f"cast({c} div {n} as int)") for t, c, n in zip(dom.tcols, dom.ccols, dom.tile)}).withColumn("src_tile", tile_id(dom))
+    a, b = (assigned.select(F.col("tile_id").alias(f"{x}_tile"), F.col("pe").alias(f"{x}_pe")) for x in ("src", "dst"))
+    placed = own.join(a, "src_tile").join(b, "dst_tile")
+    row = ["dst_tile", "axis", *dom.ccols, "value"]
+    buffers = placed.where("src_pe <> dst_pe").groupBy("src_pe", "dst_pe", "axis").agg(F.collect_list(F.struct("dst_tile", *dom.ccols, "value")).alias("cells"))
+    return placed.where("src_pe = dst_pe").select(*row), buffers
+
+
+def unpack(buffers: DataFrame, dom: Domain, classified: DataFrame) -> DataFrame:
+    """Second pass, only for tiles with an external border: their guard cells from the buffers, as halo() has them."""
+    ext = classified.where("external")
+    waiting = ext.select(F.col("a_tile").alias("dst_tile")).union(ext.select("b_tile")).distinct()
+    cells = buffers.select("axis", F.explode("cells").alias("c")).select("c.dst_tile", "axis", *[f"c.{x}" for x in dom.ccols], "c.value")
+    return cells.join(waiting, "dst_tile", "left_semi")
+
+
+def pass_tiles(classified: DataFrame, by: tuple[str, ...] = ("step",)) -> DataFrame:
+    """by, external, n_tiles: tiles with a face of that kind on any side."""
+    both = classified.select(*by, "external", F.col("a_tile").alias("tile")).unionByName(classified.select(*by, "external", F.col("b_tile").alias("tile")))
+    return both.distinct().groupBy(*by, "external").agg(F.count("*").alias("n_tiles"))
+
+
 def halo_add(spill: DataFrame, dom: Domain) -> DataFrame:
     """Deposits of several tiles on one cell, guard cells' too, added up: cx.., value."""
     return spill.groupBy(*dom.ccols).agg(F.sum("value").alias("value"))

@@ -138,3 +138,20 @@ def _(spark, d):
 def _(spark, d):
     """Tiles served in the first pass (internal borders, in place) and those that wait for messages."""
     return classified(spark, d, "w7").groupBy("step", "external").agg(F.countDistinct("a_tile").alias("n_tiles"))
+
+
+_MESH_ASG = "asg AS (SELECT tx + ty * 4 AS tile_id, tx // 2 * 2 + ty // 2 AS pe FROM generate_series(0, 3) a(tx), generate_series(0, 3) b(ty))"
+
+
+@query("exchange_passes", f"WITH {_CELLS}, {_MESH_ASG}, h AS ({_HALO}) SELECT CASE WHEN a.pe = b.pe THEN 1 ELSE 2 END AS pass, dst_tile, axis, cx, cy, value FROM h JOIN asg a ON a.tile_id = cx // 8 + cy // 6 * 4 JOIN asg b ON b.tile_id = dst_tile")
+def _(spark, d):
+    """Guard cells by the pass that delivers them."""
+    own = lattice(spark, _MESH).withColumn("pe", decomp.uniform(_MESH, (2, 2)))
+    local, buffers = exchange.two_pass(_mesh(spark), _MESH, own)
+    far = exchange.unpack(buffers, _MESH, exchange.classify_edges(exchange.tile_edges(spark, _MESH), own, ()))
+    return local.withColumn("pass", F.lit(1)).unionByName(far.withColumn("pass", F.lit(2)))
+
+
+query("exchange_pass_tiles", _classified("w7") + "SELECT step, external, count(DISTINCT tile) AS n_tiles FROM (SELECT step, external, a_tile AS tile FROM cl UNION ALL SELECT step, external, b_tile FROM cl) GROUP BY ALL")(
+    lambda s, d: exchange.pass_tiles(classified(s, d, "w7"))
+)
