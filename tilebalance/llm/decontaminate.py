@@ -2,8 +2,9 @@
 
 Training documents are gathered into shards of bounded word count (a longer
 document is a shard of its own, never cut).  Each shard gets a word-level suffix
-array, sorted to the depth of the longest benchmark item, and every benchmark
-suffix is looked up in it by binary search.  Words that no benchmark item has
+array, sorted to the depth of the longest benchmark item, and every start of a
+whole benchmark window is looked up in it by binary search; matches shorter than
+a window are not found, so `longest` is zero where there is no window.  Words that no benchmark item has
 share one number below all others: a suffix that starts with one cannot match
 and is left out of the array.  The benchmark is the stated query set: it is sent
 to tasks in blocks of a checked size, one pass in the same stage for each block.
