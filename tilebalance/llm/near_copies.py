@@ -7,9 +7,9 @@ last; a poor sample costs time and changes no result.  A candidate is linked if
 its similarity, of the complete sets, is s or more.
 
 Large groups of copies would give a pair for each two members.  Members of a key
-are therefore first tried with one member alone, the first and then the last;
-what is linked by then needs no more trial, and only members of different
-components are tried pair by pair.
+are therefore first tried with its first and its last member alone; what is
+linked by then needs no more trial, and only members of different components are
+tried pair by pair.
 """
 
 from __future__ import annotations
@@ -106,7 +106,7 @@ def prefixes(rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int
 def verified(pairs: DataFrame, rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int, int] = SIMILAR) -> DataFrame:
     """Those pairs (a, b) whose similarity is large enough."""
     ids = pairs.select(F.col("a").alias("_row")).union(pairs.select("b")).distinct()
-    own = materialise(sets(rows.join(ids, "_row", "left_semi"), words_per_shingle), "sets")
+    own = sets(rows.join(ids, "_row", "left_semi"), words_per_shingle)
     both = pairs.join(own.select(F.col("_row").alias("a"), F.col("set").alias("x")), "a").join(own.select(F.col("_row").alias("b"), F.col("set").alias("y")), "b")
 
     def run(batches):
@@ -122,7 +122,7 @@ def verified(pairs: DataFrame, rows: DataFrame, words_per_shingle: int = WORDS,
             keep = pa.array(keep, pa.bool_())
             yield pa.RecordBatch.from_arrays([a.filter(keep), b.filter(keep)], names=["a", "b"])
 
-    return both.select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint")
+    return both.select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint").repartition("a")  # few links become few files
 
 
 def roots(rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int, int] = SIMILAR) -> DataFrame:
@@ -130,26 +130,21 @@ def roots(rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int, i
     of_key = Window.partitionBy("key")
     entries = prefixes(rows, words_per_shingle, similar).withColumn("_in", F.count("*").over(of_key)).where("_in > 1").drop("_in")
     entries = materialise(entries, "entries")
-    links = None
     s, t = similar
     #: Sizes and places of one shared key that allow the similarity: the first key that two such sets share does.
     fits = f"least(n, n2) * {t} >= greatest(n, n2) * {s} and least(n - pos, n2 - pos2) * {s + t} >= (n + n2) * {s}"
-    for step in ("first", "last", "pairs"):
-        if links is None:
-            own = entries.withColumn("root", F.col("_row"))
-        else:
-            own = entries.join(components(links).withColumnRenamed("id", "_row"), "_row", "left").withColumn("root", F.coalesce("root", "_row"))
-        if step == "pairs":
-            own = materialise(own.withColumns({"_lo": F.min("root").over(of_key), "_hi": F.max("root").over(of_key)}).where("_lo < _hi").drop("_lo", "_hi"), "left")
-            other = own.select("key", F.col("_row").alias("r2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("root").alias("root2"))
-            found = own.join(other, "key").where("root < root2")
-        else:
-            hub = F.struct("_row", "n", "pos", "root")
-            found = own.withColumn("hub", (F.min if step == "first" else F.max)(hub).over(of_key)).selectExpr("_row", "n", "pos", "root", "hub._row as r2", "hub.n as n2", "hub.pos as pos2", "hub.root as root2").where("root <> root2")
+
+    def near(found: DataFrame) -> DataFrame:
         pairs = materialise(found.where(fits).selectExpr("least(_row, r2) as a", "greatest(_row, r2) as b").distinct(), "pairs")
-        new = materialise(verified(pairs, rows, words_per_shingle, similar), "near")
-        links = new if links is None else links.unionByName(new)
-    return components(links)
+        return materialise(verified(pairs, rows, words_per_shingle, similar), "near")
+
+    ends = F.struct(F.col("_row").alias("r2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"))
+    trials = entries.withColumns({"_lo": F.min(ends).over(of_key), "_hi": F.max(ends).over(of_key)}).withColumn("hub", F.explode(F.array("_lo", "_hi")))
+    links = near(trials.select("_row", "n", "pos", "hub.*").where("_row <> r2"))
+    own = entries.join(components(links).withColumnRenamed("id", "_row"), "_row", "left").withColumn("root", F.coalesce("root", "_row"))
+    own = materialise(own.withColumns({"_lo": F.min("root").over(of_key), "_hi": F.max("root").over(of_key)}).where("_lo < _hi").drop("_lo", "_hi"), "left")
+    other = own.select("key", F.col("_row").alias("r2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("root").alias("root2"))
+    return components(links.unionByName(near(own.join(other, "key").where("root < root2"))))
 
 
 def first_of_group(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
