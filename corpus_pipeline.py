@@ -46,7 +46,7 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Piece ids of every kept text with the digest of what they decode to: doc_id, n_pieces, ids_crc32, n_chunks, decoded_sha256, ids (packed unsigned 32-bit numbers)."""
     model = public_tokenizers.path("piece_bpe_32k.model")
-    return pieces.digest(pieces.encode(docs, model), model, with_ids=True)
+    return pieces.encode(docs, model, columns=(*pieces.DIGEST, "ids"))
 
 
 STAGES = [("toxicity", drop_toxic), ("exact dedup", drop_copies), ("simhash near-dedup", drop_near_copies), ("benchmark decontamination", drop_contaminated), ("sentencepiece encoding", encode_pieces)]

@@ -140,3 +140,26 @@ def test_attribution_operator(spark):
     text = "naïve 日本語\U0001f600 x"
     ids, a, b = attribution.token_spans(text, BPE, PATTERN)
     assert b[-1] == len(text) and (a[1:] <= b[:-1]).all() and (a < b).all() and isinstance(enc, tiktoken.Encoding)
+
+
+def test_columns_made_while_encoding_equal_those_made_after(spark):
+    docs = documents(spark)
+    after = pieces.digest(pieces.encode(docs, MODEL, chunk=512), MODEL, with_ids=True)
+    made = pieces.encode(docs, MODEL, chunk=512, columns=(*pieces.DIGEST, "ids"))
+    assert made.columns == after.columns
+    assert sorted(map(str, made.collect())) == sorted(map(str, after.collect()))
+
+
+def test_forgetting_stretches_changes_no_ids():
+    text = [" ".join(chr(97 + i % 26) * (1 + j) + "ing" for j in range(1 + i // 26)) for i in range(300)]
+    few, many = pieces.Pieces(MODEL, limit=1), pieces.Pieces(MODEL)
+    assert [few.encode_all(text[a : a + 20]) for a in range(0, 300, 20)] == [many.encode_all(text[a : a + 20]) for a in range(0, 300, 20)]
+    assert few.held < many.held
+
+
+def test_slices_are_bounded_by_bytes():
+    import pyarrow as pa
+
+    texts = pa.array(["a" * 10, None, "b" * 5, "c" * 100, "d" * 3, "", "e" * 12])
+    got = list(pieces._slices(texts, 15))
+    assert got == [(0, 3), (3, 4), (4, 7)] and list(pieces._slices(texts.slice(0, 0), 15)) == []

@@ -18,6 +18,7 @@ scores: segmentations can differ from the merge procedure's, decoding does not.
 
 from __future__ import annotations
 
+import hashlib
 import re
 import struct
 import zlib
@@ -30,7 +31,9 @@ from pyspark.sql import functions as F
 
 from .common import materialise
 
-CHUNK, TOGETHER = 16_384, 256
+CHUNK = 16_384
+#: Characters of text solved together, and bytes of remembered stretches in a worker.
+SLICE_CHARS, KNOWN_BYTES = 500_000, 48 << 20
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = range(1, 7)
 SPACE = "▁"
 NONE = -np.inf
@@ -72,7 +75,7 @@ def _fields(data: bytes) -> Iterator[tuple[int, int, bytes | int]]:
 class Pieces:
     """A vocabulary as a lattice of scored pieces."""
 
-    def __init__(self, path: str, limit: int = 400_000):
+    def __init__(self, path: str, limit: int = KNOWN_BYTES):
         with open(path, "rb") as f:
             data = f.read()
         self.pieces: list[tuple[str, float, int]] = []
@@ -110,7 +113,7 @@ class Pieces:
         self.units = re.compile(f"{SPACE}*[{own}]+|{SPACE}+|.", re.S)
         self.alone = lambda c: c != SPACE and c not in inner
         self.known: dict[str, bytes] = {}
-        self.limit = limit
+        self.limit, self.held = limit, 0
         self.tables: list[tuple[int, np.ndarray, np.ndarray]] = []
 
     @classmethod
@@ -165,16 +168,23 @@ class Pieces:
         """Ids of a stretch between two forced boundaries."""
         found = self.known.get(text)
         if found is None:
-            if len(self.known) >= self.limit:
-                self.known.clear()
             _, back = self.forward(text, {0: 0.0}, 1)
-            found = self.known[text] = self.ids_on(text, self.path(text, back, len(text))[0])
+            found = self.remember(text, self.ids_on(text, self.path(text, back, len(text))[0]))
         return found
 
+    def remember(self, text: str, ids: bytes) -> bytes:
+        self.known[text] = ids
+        self.held += 200 + 2 * len(text) + len(ids)  # two objects and their place in the table
+        return ids
+
+    def room(self) -> None:
+        """Forget all stretches once they hold more than the limit; called between slices only."""
+        if self.held > self.limit:
+            self.known.clear()
+            self.held = 0
+
     def learn(self, units: set[str]) -> None:
         """Solve many stretches at once: those of one length go through the recurrence of forward() side by side."""
-        if len(self.known) + len(units) > self.limit:
-            self.known.clear()
         by: dict[int, list[str]] = {}
         for u in units:
             by.setdefault(len(u), []).append(u)
@@ -245,10 +255,11 @@ class Pieces:
                     break
                 e = a
             else:
-                self.known[u] = np.array(out[::-1], "<u4").tobytes()
+                self.remember(u, np.array(out[::-1], "<u4").tobytes())
 
     def encode_all(self, texts: list[str]) -> list[bytes]:
         """Packed ids of several texts."""
+        self.room()
         get = self.known.get
         rows = [self.units.findall(self.escaped(t)) for t in texts]
         found = [list(map(get, row)) for row in rows]
@@ -362,8 +373,40 @@ def scan(matrices: np.ndarray) -> np.ndarray:
     return start[:n]
 
 
-def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str = "text", chunk: int = CHUNK) -> DataFrame:
-    """One row per input row: doc_id, ids (packed unsigned 32-bit numbers), n_chunks.
+_KINDS = {"ids": (pa.binary(), "binary"), "n_chunks": (pa.int64(), "bigint"), "n_pieces": (pa.int64(), "bigint"), "ids_crc32": (pa.int64(), "bigint"), "decoded_sha256": (pa.string(), "string")}
+DIGEST = ("n_pieces", "ids_crc32", "n_chunks", "decoded_sha256")
+
+
+def _schema(columns: tuple[str, ...]) -> str:
+    return ", ".join(["doc_id bigint", *[f"{c} {_KINDS[c][1]}" for c in columns]])
+
+
+def _columns(own: Pieces, blobs: list[bytes], n_chunks: list[int], columns: tuple[str, ...]) -> dict[str, list]:
+    """What is asked for of each document's packed ids."""
+    make = {
+        "ids": lambda: blobs,
+        "n_chunks": lambda: n_chunks,
+        "n_pieces": lambda: [len(b) // 4 for b in blobs],
+        "ids_crc32": lambda: [zlib.crc32(b) for b in blobs],
+        "decoded_sha256": lambda: [hashlib.sha256(own.decode(np.frombuffer(b, "<u4")).encode()).hexdigest() for b in blobs],
+    }
+    return {c: make[c]() for c in columns}
+
+
+def _slices(texts: pa.Array, limit: int = SLICE_CHARS) -> Iterator[tuple[int, int]]:
+    """Ranges of rows whose texts hold at most limit bytes together (one row at least)."""
+    import pyarrow.compute as pc
+
+    ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    a = 0
+    while a < len(ends):
+        b = max(a + 1, int(np.searchsorted(ends, limit + (ends[a - 1] if a else 0), side="right")))
+        yield a, b
+        a = b
+
+
+def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str = "text", chunk: int = CHUNK, columns: tuple[str, ...] = ("ids", "n_chunks")) -> DataFrame:
+    """One row per input row: doc_id and the columns asked for: ids (packed unsigned 32-bit numbers), n_chunks, n_pieces, ids_crc32, decoded_sha256.
 
     Null and empty texts have no ids; documents of at most `chunk` characters
     are one chunk; repeated rows are repeated; only the two named columns are
@@ -372,24 +415,27 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
     if chunk < 64:
         raise ValueError("chunks must be longer than any piece")
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
+    spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def plain(batches):
         own = Pieces.at(model)
         for batch in batches:
-            for a in range(0, batch.num_rows, TOGETHER):
-                part = batch.slice(a, TOGETHER)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(own.encode_all(part.column(1).to_pylist()), pa.binary()), pa.array([1] * part.num_rows, pa.int64())], names=["doc_id", "ids", "n_chunks"])
+            for a, b in _slices(batch.column(1)):
+                blobs = own.encode_all(batch.column(1).slice(a, b - a).to_pylist())
+                found = _columns(own, blobs, [1] * (b - a), columns)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), *[pa.array(found[c], _KINDS[c][0]) for c in columns]], names=["doc_id", *columns])
 
-    small = rows.where(F.length("text") <= chunk).mapInArrow(plain, "doc_id bigint, ids binary, n_chunks bigint")
+    small = rows.where(F.length("text") <= chunk).mapInArrow(plain, _schema(columns))
 
     def cut(batches):
         own = Pieces.at(model)
         for batch in batches:
-            for row, doc, text in zip(*[c.to_pylist() for c in batch.columns]):
+            for k in range(batch.num_rows):
+                row, doc, text = (c[k].as_py() for c in batch.columns)
                 text = own.escaped(text)
                 at = list(range(0, len(text), chunk))
-                for a in range(0, len(at), 64):
-                    some = at[a : a + 64]
+                for a in range(0, len(at), 16):
+                    some = at[a : a + 16]
                     yield pa.RecordBatch.from_arrays(
                         [pa.array([row] * len(some), pa.int64()), pa.array([doc] * len(some), pa.int64()), pa.array([x // chunk for x in some], pa.int64()), pa.array([text[max(0, x - own.longest + 1) : x] for x in some], pa.string()), pa.array([text[x : x + chunk] for x in some], pa.string())],
                         names=["row", "doc_id", "k", "head", "body"],
@@ -401,8 +447,8 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
     def matrices(batches):
         own = Pieces.at(model)
         for batch in batches:
-            for a in range(0, batch.num_rows, TOGETHER):
-                part = batch.slice(a, TOGETHER)
+            for a, b in _slices(batch.column(3)):
+                part = batch.slice(a, b - a)
                 found = [own.matrix(left, text).tobytes() for left, text in zip(part.column(2).to_pylist(), part.column(3).to_pylist())]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(found, pa.binary())], names=["row", "k", "m"])
 
@@ -413,14 +459,17 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
         part["enter"] = [s.tobytes() for s in states]
         return part[["row", "k", "enter"]]
 
-    entered = chunks.select("row", "k", "head", "body").mapInArrow(matrices, "row bigint, k bigint, m binary").groupBy("row").applyInPandas(combine, "row bigint, k bigint, enter binary")
+    # Matrices are small, so their partitions would be merged into one; a number of them, given, keeps the work dealt.
+    dealt = chunks.select("row", "k", "head", "body").mapInArrow(matrices, "row bigint, k bigint, m binary").repartition(spread, "row")
+    entered = dealt.groupBy("row").applyInPandas(combine, "row bigint, k bigint, enter binary")
 
     def traces(batches):
         own = Pieces.at(model)
         for batch in batches:
-            for a in range(0, batch.num_rows, TOGETHER):
-                part = batch.slice(a, TOGETHER)
+            for a, b in _slices(batch.column(4)):
+                part = batch.slice(a, b - a)
                 left, text, enter = [c.to_pylist() for c in part.columns[3:]]
+                own.room()
                 own.learn({u for t in text for u in own.units.findall(t)} - own.known.keys())
                 got = [own.trace(x, y, np.frombuffer(e, np.float64)) for x, y, e in zip(left, text, enter)]
                 yield pa.RecordBatch.from_arrays(
@@ -438,9 +487,9 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
         for shared, ends, sources in zip(part["shared"][::-1], part["ends"][::-1], part["sources"][::-1]):
             out.append(bytes(shared) + bytes(ends[state]))
             state = int(sources[state])
-        return pd.DataFrame({"doc_id": part["doc_id"].iloc[:1], "ids": [b"".join(out[::-1])], "n_chunks": [len(part)]})
+        return pd.DataFrame({"doc_id": part["doc_id"].iloc[:1].to_numpy(), **_columns(Pieces.at(model), [b"".join(out[::-1])], [len(part)], columns)})
 
-    large = traced.groupBy("row").applyInPandas(put_together, "doc_id bigint, ids binary, n_chunks bigint")
+    large = traced.groupBy("row").applyInPandas(put_together, _schema(columns))
     return small.unionByName(large)
 
 
@@ -456,15 +505,15 @@ def decode(encoded: DataFrame, model: str) -> DataFrame:
 
 
 def digest(encoded: DataFrame, model: str, with_ids: bool = False) -> DataFrame:
-    """doc_id, n_pieces, ids_crc32, n_chunks, the SHA-256 of the decoded text, and the packed ids if asked for."""
-    import hashlib
+    """Of rows of encode(): doc_id, n_pieces, ids_crc32, n_chunks, the SHA-256 of the decoded text, and the packed ids if asked for."""
+    columns = DIGEST + ("ids",) * with_ids
 
     def run(batches):
         own = Pieces.at(model)
         for batch in batches:
-            blobs, i = batch.column(1).to_pylist(), pa.int64()
-            cols = [batch.column(0), pa.array([len(b) // 4 for b in blobs], i), pa.array([zlib.crc32(b) for b in blobs], i), batch.column(2), pa.array([hashlib.sha256(own.decode(np.frombuffer(b, "<u4")).encode()).hexdigest() for b in blobs], pa.string()), batch.column(1)]
-            names = ["doc_id", "n_pieces", "ids_crc32", "n_chunks", "decoded_sha256", "ids"]
-            yield pa.RecordBatch.from_arrays(cols[: 5 + with_ids], names=names[: 5 + with_ids])
+            for a, b in _slices(batch.column(1)):
+                part = batch.slice(a, b - a)
+                found = _columns(own, part.column(1).to_pylist(), part.column(2).to_pylist(), columns)
+                yield pa.RecordBatch.from_arrays([part.column(0), *[pa.array(found[c], _KINDS[c][0]) for c in columns]], names=["doc_id", *columns])
 
-    return encoded.select("doc_id", "ids", "n_chunks").mapInArrow(run, "doc_id bigint, n_pieces bigint, ids_crc32 bigint, n_chunks bigint, decoded_sha256 string" + ", ids binary" * with_ids)
+    return encoded.select("doc_id", "ids", "n_chunks").mapInArrow(run, _schema(columns))

@@ -49,8 +49,7 @@ def op7_offset_attribution(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_piece_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    model = vocabulary("piece_bpe_32k.model")
-    return pieces.digest(pieces.encode(table(spark, sf_dir, "documents"), model), model)
+    return pieces.encode(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"), columns=pieces.DIGEST)
 
 
 def op9_lookup_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
