@@ -8,6 +8,7 @@ import pytest
 
 from tests.llm.fixtures import documents, empty
 from tilebalance.llm import attribution, pieces
+from tilebalance.llm.common import slices
 
 MODEL = public_tokenizers.path("piece_bpe_32k.model")
 BPE, PATTERN = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
@@ -161,5 +162,5 @@ def test_slices_are_bounded_by_bytes():
     import pyarrow as pa
 
     texts = pa.array(["a" * 10, None, "b" * 5, "c" * 100, "d" * 3, "", "e" * 12])
-    got = list(pieces._slices(texts, 15))
-    assert got == [(0, 3), (3, 4), (4, 7)] and list(pieces._slices(texts.slice(0, 0), 15)) == []
+    got = list(slices(texts, 15))
+    assert got == [(0, 3), (3, 4), (4, 7)] and list(slices(texts.slice(0, 0), 15)) == []

@@ -29,11 +29,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, slices
 
 CHUNK = 16_384
-#: Characters of text solved together, and bytes of remembered stretches in a worker.
-SLICE_CHARS, KNOWN_BYTES = 500_000, 48 << 20
+KNOWN_BYTES = 48 << 20  # of remembered stretches in a worker
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = range(1, 7)
 SPACE = "▁"
 NONE = -np.inf
@@ -393,18 +392,6 @@ def _columns(own: Pieces, blobs: list[bytes], n_chunks: list[int], columns: tupl
     return {c: make[c]() for c in columns}
 
 
-def _slices(texts: pa.Array, limit: int = SLICE_CHARS) -> Iterator[tuple[int, int]]:
-    """Ranges of rows whose texts hold at most limit bytes together (one row at least)."""
-    import pyarrow.compute as pc
-
-    ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64))
-    a = 0
-    while a < len(ends):
-        b = max(a + 1, int(np.searchsorted(ends, limit + (ends[a - 1] if a else 0), side="right")))
-        yield a, b
-        a = b
-
-
 def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str = "text", chunk: int = CHUNK, columns: tuple[str, ...] = ("ids", "n_chunks")) -> DataFrame:
     """One row per input row: doc_id and the columns asked for: ids (packed unsigned 32-bit numbers), n_chunks, n_pieces, ids_crc32, decoded_sha256.
 
@@ -420,7 +407,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
     def plain(batches):
         own = Pieces.at(model)
         for batch in batches:
-            for a, b in _slices(batch.column(1)):
+            for a, b in slices(batch.column(1)):
                 blobs = own.encode_all(batch.column(1).slice(a, b - a).to_pylist())
                 found = _columns(own, blobs, [1] * (b - a), columns)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), *[pa.array(found[c], _KINDS[c][0]) for c in columns]], names=["doc_id", *columns])
@@ -447,7 +434,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
     def matrices(batches):
         own = Pieces.at(model)
         for batch in batches:
-            for a, b in _slices(batch.column(3)):
+            for a, b in slices(batch.column(3)):
                 part = batch.slice(a, b - a)
                 found = [own.matrix(left, text).tobytes() for left, text in zip(part.column(2).to_pylist(), part.column(3).to_pylist())]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(found, pa.binary())], names=["row", "k", "m"])
@@ -466,7 +453,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
     def traces(batches):
         own = Pieces.at(model)
         for batch in batches:
-            for a, b in _slices(batch.column(4)):
+            for a, b in slices(batch.column(4)):
                 part = batch.slice(a, b - a)
                 left, text, enter = [c.to_pylist() for c in part.columns[3:]]
                 own.room()
@@ -511,7 +498,7 @@ def digest(encoded: DataFrame, model: str, with_ids: bool = False) -> DataFrame:
     def run(batches):
         own = Pieces.at(model)
         for batch in batches:
-            for a, b in _slices(batch.column(1)):
+            for a, b in slices(batch.column(1)):
                 part = batch.slice(a, b - a)
                 found = _columns(own, part.column(1).to_pylist(), part.column(2).to_pylist(), columns)
                 yield pa.RecordBatch.from_arrays([part.column(0), *[pa.array(found[c], _KINDS[c][0]) for c in columns]], names=["doc_id", *columns])
