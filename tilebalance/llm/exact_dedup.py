@@ -40,7 +40,8 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     extra columns of any name do no harm; an empty table gives no rows.
     """
     narrow = materialise(digests(docs, id_col, text_col), "digests")
-    hot = F.broadcast(frequent(narrow, heavy, tracked))
+    # The sketch depends on the order in which blocks are merged, so its list is made once and written: both sides of the split read the same one.
+    hot = F.broadcast(materialise(frequent(narrow, heavy, tracked), "frequent"))
     winners = narrow.join(hot, "digest").groupBy("digest").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
     settled = narrow.join(F.broadcast(winners), "digest")
     same = Window.partitionBy("digest")
