@@ -2,24 +2,30 @@
 
 Training documents are gathered into shards of bounded word count (a longer
 document is a shard of its own, never cut).  Each shard gets a word-level suffix
-array, sorted to the depth of the longest benchmark item, and every start of a
-whole benchmark window is looked up in it by binary search; matches shorter than
-a window are not found, so `longest` is zero where there is no window.  Words that no benchmark item has
-share one number below all others: a suffix that starts with one cannot match
-and is left out of the array.  The benchmark is the stated query set: it is sent
-to tasks in blocks of a checked size, one pass in the same stage for each block.
+array, sorted to the depth of the longest benchmark item.  Every start of a whole
+benchmark window is looked up in it by binary search, which gives the hits.  For
+the longest verbatim match of each document, of whatever length, the suffixes of
+the shard and those of the benchmark are merged: a suffix agrees longest with one
+of its two neighbours, found by binary search as well.  Words that no benchmark
+item has share one number below all others: a suffix that starts with one cannot
+match and is left out of the array.
+
+The benchmark is the stated query set.  It is dealt into blocks of about a given
+size; the driver holds one block at a time and sends it to tasks, one pass over
+the documents for each block.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import materialise
+
 WINDOW, SHARD_WORDS, BLOCK_BYTES = 10, 1_000_000, 16 << 20
 _TABLE = bytes(c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else c + 32 if 65 <= c <= 90 else 32 for c in range(256))
 
@@ -39,6 +45,17 @@ class Queries:
     starts: np.ndarray
     lengths: np.ndarray
     window: int
+    own: list = field(default_factory=list)
+
+    def __getstate__(self):
+        return self.__dict__ | {"own": []}
+
+    @property
+    def array(self) -> SuffixArray:
+        """The suffix array of the items, made once in each worker."""
+        if not self.own:
+            self.own.append(SuffixArray(self.flat, len(self.number), int(self.lengths.max())))
+        return self.own[0]
 
     @classmethod
     def of(cls, items: list[tuple[str, str | None]], window: int) -> Queries:
@@ -124,6 +141,46 @@ class SuffixArray:
         return lo, np.maximum(lo, hi)
 
 
+    def words_of(self, keys: np.ndarray, k: int) -> np.ndarray:
+        """Word k of packed keys."""
+        return (keys >> (self.bits * (self.per - 1 - k))) & ((1 << self.bits) - 1)
+
+    def agreement(self, mine: np.ndarray, other: np.ndarray) -> np.ndarray:
+        """Leading words that packed keys share, up to the first 0."""
+        out, alive = np.zeros(len(mine), np.int64), np.ones(len(mine), bool)
+        for k in range(self.per):
+            word = self.words_of(mine, k)
+            alive &= (word == self.words_of(other, k)) & (word > 0)
+            out += alive
+        return out
+
+
+def longest_runs(shard: SuffixArray, other: SuffixArray) -> np.ndarray:
+    """For each place in the shard, how many words from there on occur in a row somewhere in the other array's text."""
+    out = np.zeros(shard.n, np.int64)
+    place, keys = shard.order, other.key[other.order]
+    if not len(keys) or not len(place):
+        return out
+    mine = shard.key[place]
+    lo, hi = np.searchsorted(keys, mine, "left"), np.searchsorted(keys, mine, "right")
+    first, last = np.zeros(len(place), np.int64), np.full(len(place), len(keys), np.int64)
+    ahead = 0
+    while len(place):
+        # Neighbours where the order would place the suffix, among those that agree so far.
+        for near in (lo - 1, hi):
+            inside = (near >= first) & (near < last)
+            got = other.key_at(other.order[np.clip(near, 0, len(keys) - 1)], ahead)
+            out[place[inside]] = np.maximum(out[place[inside]], ahead + shard.agreement(mine[inside], got[inside]))
+        found = lo < hi
+        out[place[found]] = ahead + shard.agreement(mine[found], mine[found])
+        go = found & (out[place] == ahead + shard.per)
+        place, first, last = place[go], lo[go], hi[go]
+        ahead += shard.per
+        mine = shard.key_at(place, ahead)
+        lo, hi = other._bound(first, last, ahead, mine, False), other._bound(first, last, ahead, mine, True)
+    return out
+
+
 def search_shard(texts: list[str | None], queries: Queries) -> list[dict]:
     """For each text: n_words, spans (disjoint word ranges inside benchmark windows), items, and its longest verbatim match (words, item, where in both)."""
     get, rows, sizes = queries.number.get, [], []
@@ -138,6 +195,7 @@ def search_shard(texts: list[str | None], queries: Queries) -> list[dict]:
         return out
     starts = np.concatenate([[0], np.cumsum(np.array(sizes, np.int64) + 1)])[:-1]
     array = SuffixArray(ids, len(queries.number), int(queries.lengths.max()))
+    _longest(array, starts, queries, out)
     at, length, item = queries.windows()
     lo, hi = array.search(queries.flat, at, length)
     count = hi - lo
@@ -145,9 +203,7 @@ def search_shard(texts: list[str | None], queries: Queries) -> list[dict]:
         return out
     q = np.repeat(np.arange(len(at)), count)
     place = array.order[np.repeat(lo - (np.cumsum(count) - count), count) + np.arange(len(q))]
-    edge = np.bincount(place, minlength=len(ids) + 1) * 0
-    np.add.at(edge, place, 1)
-    np.add.at(edge, place + length[q], -1)
+    edge = np.bincount(place, minlength=len(ids) + 1) - np.bincount(place + length[q], minlength=len(ids) + 1)
     hit = np.concatenate([[0], (np.cumsum(edge)[: len(ids)] > 0).astype(np.int8), [0]])
     step = np.diff(hit)
     begin, end = np.flatnonzero(step > 0), np.flatnonzero(step < 0)
@@ -157,55 +213,58 @@ def search_shard(texts: list[str | None], queries: Queries) -> list[dict]:
     doc = np.searchsorted(starts, place, side="right") - 1
     for d, i in np.unique(np.stack([doc, item[q]]), axis=1).T:
         out[d]["items"].append(queries.items[i])
-    # The longest match: each occurrence is followed word by word as long as both sides agree.
-    run, alive = length[q].copy(), np.arange(len(q))
-    while len(alive):
-        x, y = at[q[alive]] + run[alive], place[alive] + run[alive]
-        word = np.where(x < len(queries.flat), queries.flat[np.minimum(x, len(queries.flat) - 1)], 0)
-        more = (word > 0) & (y < len(ids)) & (ids[np.minimum(y, len(ids) - 1)] == word)
-        alive = alive[more]
-        run[alive] += 1
-    for k in np.lexsort((item[q], place, -run, doc)):
-        d = doc[k]
-        if not out[d]["longest"]:
-            out[d] |= {"longest": int(run[k]), "longest_item": queries.items[item[q[k]]], "longest_at": int(place[k] - starts[d]), "longest_from": int(at[q[k]] - queries.starts[item[q[k]]])}
     return out
 
 
+def _longest(array: SuffixArray, starts: np.ndarray, queries: Queries, out: list[dict]) -> None:
+    """The longest match of each document: of equal ones the first in the document, then the first item and place."""
+    run = longest_runs(array, queries.array)
+    best = np.maximum.reduceat(run, starts)
+    of = np.searchsorted(starts, np.arange(len(run)), side="right") - 1
+    top = np.flatnonzero((run > 0) & (run == best[of]))
+    docs, first = np.unique(of[top], return_index=True)
+    place = top[first]
+    lo, hi = queries.array.search(array.ids, place, run[place])
+    for d, p, a, b in zip(docs.tolist(), place.tolist(), lo.tolist(), hi.tolist()):
+        begin = int(queries.array.order[a:b].min())
+        item = int(np.searchsorted(queries.starts, begin, side="right")) - 1
+        out[d] |= {"longest": int(run[p]), "longest_item": queries.items[item], "longest_at": int(p - starts[d]), "longest_from": int(begin - queries.starts[item])}
+
+
 _SPAN = pa.list_(pa.struct([("s", pa.int64()), ("e", pa.int64())]))
 _FIELDS = [("n_words", pa.int64(), "bigint"), ("spans", _SPAN, "array<struct<s:bigint,e:bigint>>"), ("items", pa.list_(pa.string()), "array<string>"), ("longest", pa.int64(), "bigint"), ("longest_item", pa.string(), "string"), ("longest_at", pa.int64(), "bigint"), ("longest_from", pa.int64(), "bigint")]
-_KIND = "doc_id bigint, text string, found array<struct<" + ",".join(f"{n}:{k}" for n, _, k in _FIELDS) + ">>"
+_KIND = "found struct<" + ",".join(f"{n}:{k}" for n, _, k in _FIELDS) + ">"
+
+
+def dealt(benchmark: DataFrame, block_bytes: int) -> tuple[DataFrame, int]:
+    """The benchmark's items (i, text) with a block number, and how many blocks of about block_bytes of text there are."""
+    rows = benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("string").alias("i"), F.col("text").cast("string").alias("text")).distinct()
+    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    n = max(1, -(-size // block_bytes))
+    return rows.withColumn("block", F.pmod(F.xxhash64("i", "text"), F.lit(n))), n
 
 
-def blocks(benchmark: DataFrame, window: int, block_bytes: int) -> Iterator[Queries]:
-    """The benchmark's items in blocks of at most block_bytes of text (one item at least)."""
-    rows = benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("string").alias("i"), "text").distinct().orderBy("i", "text")
-    own: list[tuple[str, str]] = []
-    size = 0
-    for r in rows.toLocalIterator():
-        if own and size + len(r.text) * 4 > block_bytes:
-            yield Queries.of(own, window)
-            own, size = [], 0
-        own.append((r.i, r.text))
-        size += len(r.text) * 4
-    yield Queries.of(own, window)
+def block(items: DataFrame, k: int, window: int) -> Queries:
+    """One block, which alone comes to the driver."""
+    return Queries.of(sorted((r.i, r.text) for r in items.where(F.col("block") == k).select("i", "text").collect()), window)
 
 
-def _pass(queries: Queries, shard_words: int, last: bool):
-    kind = pa.list_(pa.struct([(n, t) for n, t, _ in _FIELDS]))
+def _pass(queries: Queries, shard_words: int):
+    kind = pa.struct([(n, t) for n, t, _ in _FIELDS])
 
     def run(batches):
         def flush():
-            ids, texts, before = zip(*held)
-            found = search_shard(list(texts), queries)
-            rows = pa.array([[*b, f | {"spans": [{"s": s, "e": e} for s, e in f["spans"]]}] for b, f in zip(before, found)], kind)
-            return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.nulls(len(ids), pa.string()) if last else pa.array(texts, pa.string()), rows], names=["doc_id", "text", "found"])
+            ids, texts = zip(*held)
+            rows = pa.array([f | {"spans": [{"s": s, "e": e} for s, e in f["spans"]]} for f in search_shard(list(texts), queries)], kind)
+            return pa.RecordBatch.from_arrays([pa.array(ids, key), rows], names=["doc_id", "found"])
 
-        held, size = [], 0
+        held, size, key = [], 0, pa.int64()
         for batch in batches:
-            for row in zip(*[c.to_pylist() for c in batch.columns]):
-                held.append((*row, []) if len(row) == 2 else row)
-                size += len(row[1] or "") // 5 + 1
+            key = batch.column(0).type
+            for k in range(batch.num_rows):
+                text = batch.column(1)[k].as_py()
+                held.append((batch.column(0)[k].as_py(), text))
+                size += len(text or "") // 5 + 1
                 if size >= shard_words:
                     yield flush()
                     held, size = [], 0
@@ -215,32 +274,42 @@ def _pass(queries: Queries, shard_words: int, last: bool):
     return run
 
 
-def find(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", shard_words: int = SHARD_WORDS, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+def find(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", shard_words: int = SHARD_WORDS, block_bytes: int = BLOCK_BYTES, id_type: str = "bigint") -> DataFrame:
     """One row per input row: doc_id, n_words, n_hit, spans, items (ids as sorted strings), longest, longest_item, longest_at, longest_from.
 
     A window is `window` consecutive words of an item; an item of fewer, but at
     least one, is one window.  Null and empty texts have no words; a benchmark
     row with a null id or text, or without words, is no item; rows that repeat
-    an id add their windows to that item.  Of equally long matches the first in
-    the document counts.  Repeated documents are each reported; only the named
-    columns are read; empty tables give no rows or no hits.
+    an id add their windows to that item.  `longest` counts matches of any
+    length, a word at least; of equally long matches the first in the document
+    counts, then the first item (ids as strings).  Repeated documents are each
+    reported; only the named columns are read; empty tables give no rows or no
+    hits.  With several blocks each one's findings are written and then joined
+    by row.
     """
-    df = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    every = list(blocks(benchmark, window, block_bytes))
-    for k, queries in enumerate(every):
-        df = df.mapInArrow(_pass(queries, shard_words, k == len(every) - 1), _KIND)
+    df = docs.select(F.col(id_col).cast(id_type).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    items, n = dealt(benchmark, block_bytes)
+    if n == 1:
+        every = df.mapInArrow(_pass(block(items, 0, window), shard_words), f"doc_id {id_type}, {_KIND}").select("doc_id", F.array("found").alias("found"))
+    else:
+        items = materialise(items, "items")
+        rows = materialise(df.withColumn("_row", F.monotonically_increasing_id()), "rows")
+        own = None
+        for k in range(n):
+            found = materialise(rows.select(F.col("_row").alias("doc_id"), "text").mapInArrow(_pass(block(items, k, window), shard_words), f"doc_id bigint, {_KIND}"), "found")
+            own = found if own is None else own.unionByName(found)
+        every = rows.select("doc_id", "_row").join(own.groupBy(F.col("doc_id").alias("_row")).agg(F.collect_list("found").alias("found")), "_row").select("doc_id", "found")  # a row has one finding a block
     spans = F.flatten(F.col("found.spans"))
-    if len(every) > 1:
-        union = F.aggregate(
+    if n > 1:
+        spans = F.aggregate(
             F.array_sort(spans),
             F.array().cast("array<struct<s:bigint,e:bigint>>"),
             lambda acc, x: F.when((F.size(acc) > 0) & (F.element_at(acc, -1)["e"] >= x["s"]), F.concat(F.slice(acc, 1, F.greatest(F.size(acc) - 1, F.lit(0))), F.array(F.struct(F.element_at(acc, -1)["s"].alias("s"), F.greatest(F.element_at(acc, -1)["e"], x["e"]).alias("e"))))).otherwise(F.concat(acc, F.array(x))),
         )
-        spans = union
-    best = F.array_max(F.transform("found", lambda x: F.struct(x["longest"].alias("n"), (-x["longest_at"]).alias("p"), x["longest_item"].alias("i"), x["longest_from"].alias("f"))))
+    first = F.array_min(F.transform("found", lambda x: F.struct((-x["longest"]).alias("n"), x["longest_at"].alias("p"), x["longest_item"].alias("i"), x["longest_from"].alias("f"))))
     return (
-        df.select("doc_id", F.col("found")[0]["n_words"].alias("n_words"), spans.alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.col("found.items")))).alias("items"), best.alias("b"))
-        .select("doc_id", "n_words", F.aggregate("spans", F.lit(0).cast("bigint"), lambda acc, x: acc + x["e"] - x["s"]).alias("n_hit"), "spans", "items", F.col("b.n").alias("longest"), F.col("b.i").alias("longest_item"), (-F.col("b.p")).alias("longest_at"), F.col("b.f").alias("longest_from"))
+        every.select("doc_id", F.col("found")[0]["n_words"].alias("n_words"), spans.alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.col("found.items")))).alias("items"), first.alias("b"))
+        .select("doc_id", "n_words", F.aggregate("spans", F.lit(0).cast("bigint"), lambda acc, x: acc + x["e"] - x["s"]).alias("n_hit"), "spans", "items", (-F.col("b.n")).alias("longest"), F.col("b.i").alias("longest_item"), F.col("b.p").alias("longest_at"), F.col("b.f").alias("longest_from"))
     )
 
 
