@@ -8,7 +8,7 @@ the last return the columns of their input.
 from __future__ import annotations
 
 import public_tokenizers
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tilebalance.llm import decontaminate, exact_dedup, near_copies, pieces, toxicity
@@ -17,6 +17,18 @@ from tilebalance.llm.common import materialise, table
 TOXIC_FROM = 0.5
 
 
+def digest(docs: DataFrame) -> Column:
+    """SHA-256 of a row's text, null as empty: what a verdict on the text goes by, whatever the row's id."""
+    return F.sha2(F.coalesce(docs.text.cast("string"), F.lit("")).cast("binary"), 256)
+
+
+def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
+    """docs without the rows whose text's digest _sha (and id _id, if it has one) is listed; the list is written, so that Spark joins it by its true size."""
+    gone = materialise(gone.distinct(), "gone")
+    same = digest(docs) == gone["_sha"]
+    return docs.join(gone, same & docs.doc_id.eqNullSafe(gone["_id"]) if "_id" in gone.columns else same, "left_anti")
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents scored below TOXIC_FROM; the field is fitted on the labelled rows among them."""
     model = toxicity.train(docs, table(spark, sf_dir, "labels"))
@@ -26,9 +38,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts the row with the largest doc_id."""
-    kept = exact_dedup.exact_dedup(docs).where("kept").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha")).distinct()
-    sha = F.sha2(F.coalesce(docs.text, F.lit("")).cast("binary"), 256)
-    return docs.join(kept, docs.doc_id.eqNullSafe(kept["_id"]) & (sha == kept["_sha"]), "left_semi")
+    gone = exact_dedup.exact_dedup(docs).where("not kept").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha"))
+    return without(docs, gone)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,9 +49,8 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without any benchmark window."""
-    rows = materialise(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
-    clean = decontaminate.report(rows, table(spark, sf_dir, "benchmark"), id_col="_row").where("not contaminated").select(F.col("doc_id").alias("_row"))
-    return rows.join(clean, "_row", "left_semi").select(*docs.columns)
+    found = decontaminate.report(docs.withColumn("_sha", digest(docs)), table(spark, sf_dir, "benchmark"), id_col="_sha", id_type="string")
+    return without(docs, found.where("contaminated").select(F.col("doc_id").alias("_sha")))
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,15 +1,20 @@
-"""Near copies by exact Jaccard similarity of word shingles.
-
-Candidates come from prefix filtering, which misses none: under any one order of
-all shingles, two sets of similarity s or more share a shingle among the first
-n - ceil(s * n) + 1 of each.  The order puts shingles that a sample found often
-last; a poor sample costs time and changes no result.  A candidate is linked if
-its similarity, of the complete sets, is s or more.
-
-Large groups of copies would give a pair for each two members.  Members of a key
-are therefore first tried with its first and its last member alone; what is
-linked by then needs no more trial, and only members of different components are
-tried pair by pair.
+"""Near copies by SimHash candidates and an exact completion, both verified by Jaccard similarity of word shingles.
+
+First the multi-index of `simhash` gives candidates: fingerprints of 5-word
+shingles within a few differing bits, linked if the similarity of their complete
+shingle sets is 0.8 or more.  A similarity of 0.8 can lie ten and more bits
+apart, which no index of small balls reaches, so a second pass completes them.
+
+Its candidates come from prefix filtering, which misses none: under any one
+order of all shingles, two sets of similarity s or more share a shingle among the
+first n - ceil(s * n) + 1 of each.  The order puts shingles that a sample found
+often last; a poor sample costs time and changes no result.
+
+Large groups of near copies would give a pair for each two members.  Members of a
+key are therefore tried first with one hub, the member that has fewest rarer
+shingles (the least altered copy of a group, mostly); what is linked by then
+needs no more trial, and only members of different components are tried pair by
+pair.  Exact copies are represented by one row from the start.
 """
 
 from __future__ import annotations
@@ -19,9 +24,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import components, materialise
+from . import simhash
+from .common import components, forget, materialise, slices
 
 WORDS, SIMILAR = 5, (4, 5)  # 4 / 5 = 0.8, compared in whole numbers
+#: Differing bits up to which fingerprints are candidates.
+BITS = 3
 SAMPLE_DOCS, SAMPLE_OFTEN, OFTEN_LIMIT = 20_000, 3, 200_000
 
 
@@ -46,8 +54,8 @@ def sets(rows: DataFrame, words_per_shingle: int = WORDS) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for a in range(0, batch.num_rows, 256):
-                part = batch.slice(a, 256)
+            for a, b in slices(batch.column(1)):
+                part = batch.slice(a, b - a)
                 own = [shingles(t, words_per_shingle).tobytes() for t in part.column(1).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(own, pa.binary())], names=["_row", "set"])
 
@@ -81,8 +89,8 @@ def prefixes(rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int
     def run(batches):
         known, rank = shared.value
         for batch in batches:
-            for a in range(0, batch.num_rows, 256):
-                part = batch.slice(a, 256)
+            for a, b in slices(batch.column(1)):
+                part = batch.slice(a, b - a)
                 keys, counts, sizes = [], [], []
                 for t in part.column(1).to_pylist():
                     own = shingles(t, words_per_shingle)
@@ -97,10 +105,10 @@ def prefixes(rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int
                 ids = np.repeat(part.column(0).to_numpy(zero_copy_only=False), counts)
                 pos = np.concatenate([np.arange(c) for c in counts])
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.concatenate(keys)), pa.array(ids), pa.array(np.repeat(sizes, counts).astype(np.int64)), pa.array(pos.astype(np.int64))], names=["key", "_row", "n", "pos"]
+                    [pa.array(np.concatenate(keys)), pa.array(ids), pa.array(np.repeat(sizes, counts).astype(np.int32)), pa.array(pos.astype(np.int32))], names=["key", "_row", "n", "pos"]
                 )
 
-    return rows.select("_row", "text").mapInArrow(run, "key bigint, _row bigint, n bigint, pos bigint")
+    return rows.select("_row", "text").mapInArrow(run, "key bigint, _row bigint, n int, pos int")
 
 
 def verified(pairs: DataFrame, rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int, int] = SIMILAR) -> DataFrame:
@@ -122,36 +130,72 @@ def verified(pairs: DataFrame, rows: DataFrame, words_per_shingle: int = WORDS,
             keep = pa.array(keep, pa.bool_())
             yield pa.RecordBatch.from_arrays([a.filter(keep), b.filter(keep)], names=["a", "b"])
 
-    return both.select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint").repartition("a")  # few links become few files
+    return both.select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint").repartition("a", "b")  # few links become few files
 
 
-def roots(rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int, int] = SIMILAR) -> DataFrame:
+def _near(found: DataFrame, rows: DataFrame, words_per_shingle: int, similar: tuple[int, int]) -> DataFrame:
+    """Of candidates (a, b) in any order, repeated or not, the links."""
+    pairs = materialise(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs")
+    out = materialise(verified(pairs, rows, words_per_shingle, similar), "near")
+    forget(pairs)
+    return out
+
+
+def close_prints(rows: DataFrame, words_per_shingle: int = WORDS, bits: int = BITS) -> DataFrame:
+    """Candidates (a, b) by fingerprints: of one print each row with the first, and the first ones of prints within `bits`."""
+    prints = materialise(simhash.fingerprints(rows, "_row", "text", words_per_shingle), "prints")
+    distinct = prints.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n"))
+    same = prints.join(distinct.where("n > 1"), "fp").where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
+    return simhash.links(distinct.select("fp", "rep"), bits).unionByName(same)
+
+
+def roots(rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int, int] = SIMILAR, bits: int = BITS) -> DataFrame:
     """(id, root): components of near copies among rows (_row, text); rows without near copies are missing."""
-    of_key = Window.partitionBy("key")
-    entries = prefixes(rows, words_per_shingle, similar).withColumn("_in", F.count("*").over(of_key)).where("_in > 1").drop("_in")
-    entries = materialise(entries, "entries")
+    links = _near(close_prints(rows, words_per_shingle, bits), rows, words_per_shingle, similar)
+    every = materialise(prefixes(rows, words_per_shingle, similar), "prefixes")
+    shared = every.groupBy("key").count().where(F.col("count") > 1).select("key")
+    entries = materialise(every.join(shared, "key", "left_semi"), "shared")
+    forget(every)
     s, t = similar
     #: Sizes and places of one shared key that allow the similarity: the first key that two such sets share does.
     fits = f"least(n, n2) * {t} >= greatest(n, n2) * {s} and least(n - pos, n2 - pos2) * {s + t} >= (n + n2) * {s}"
+    ends = [F.min("root").alias("_lo"), F.max("root").alias("_hi")]
+    hub = F.min(F.struct("pos", "n", "_row", "root")).alias("hub")
 
-    def near(found: DataFrame) -> DataFrame:
-        pairs = materialise(found.where(fits).selectExpr("least(_row, r2) as a", "greatest(_row, r2) as b").distinct(), "pairs")
-        return materialise(verified(pairs, rows, words_per_shingle, similar), "near")
+    def apart(links: DataFrame, *more) -> tuple[DataFrame, DataFrame]:
+        """Entries with their component, and the keys whose members lie in several."""
+        own = entries.join(components(links).withColumnRenamed("id", "_row"), "_row", "left").withColumn("root", F.coalesce("root", "_row"))
+        own = materialise(own, "rooted")
+        return own, own.groupBy("key").agg(*ends, *more).where("_lo < _hi").drop("_lo", "_hi")
 
-    ends = F.struct(F.col("_row").alias("r2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"))
-    trials = entries.withColumns({"_lo": F.min(ends).over(of_key), "_hi": F.max(ends).over(of_key)}).withColumn("hub", F.explode(F.array("_lo", "_hi")))
-    links = near(trials.select("_row", "n", "pos", "hub.*").where("_row <> r2"))
-    own = entries.join(components(links).withColumnRenamed("id", "_row"), "_row", "left").withColumn("root", F.coalesce("root", "_row"))
-    own = materialise(own.withColumns({"_lo": F.min("root").over(of_key), "_hi": F.max("root").over(of_key)}).where("_lo < _hi").drop("_lo", "_hi"), "left")
-    other = own.select("key", F.col("_row").alias("r2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("root").alias("root2"))
-    return components(links.unionByName(near(own.join(other, "key").where("root < root2"))))
+    own, keys = apart(links, hub)
+    hubs = keys.select("key", F.col("hub.pos").alias("pos2"), F.col("hub.n").alias("n2"), F.col("hub._row").alias("b"), F.col("hub.root").alias("root2"))
+    links = links.unionByName(_near(own.join(hubs, "key").where("root <> root2").where(fits).select(F.col("_row").alias("a"), "b"), rows, words_per_shingle, similar))
+    own, keys = apart(links)
+    own = materialise(own.join(keys, "key", "left_semi"), "left")
+    other = own.select("key", F.col("_row").alias("b"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("root").alias("root2"))
+    return components(links.unionByName(_near(own.join(other, "key").where("root < root2").where(fits).select(F.col("_row").alias("a"), "b"), rows, words_per_shingle, similar)))
 
 
 def first_of_group(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs without the near copies: of each group the row with the smallest id stays (nulls last; of equal ids the text with the smaller digest)."""
+    """The rows of docs without the near copies: of each group the row with the smallest id stays (nulls last; of equal ids the text with the smaller digest).
+
+    Null texts count as empty ones, and all texts without words are copies of
+    each other; a text of fewer words than a shingle is one shingle; very long
+    texts are compared whole; repeated rows are copies; columns other than the
+    two named pass through unread, but for names that begin with an underscore,
+    which are reserved; an empty table gives no rows.
+    """
     numbered = materialise(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
-    rows = numbered.select("_row", F.col(text_col).cast("string").alias("text"))
-    grouped = numbered.join(roots(rows), F.col("_row") == F.col("id")).select("_row", "root", F.col(id_col).alias("_id"), F.sha2(F.col(text_col).cast("string"), 256).alias("_sha"))
-    best = Window.partitionBy("root").orderBy(F.col("_id").asc_nulls_last(), "_sha", "_row")
-    gone = grouped.withColumn("_k", F.row_number().over(best)).where("_k > 1").select("_row")
+    text = F.col(text_col).cast("string")
+    digests = materialise(numbered.select("_row", F.col(id_col).alias("_id"), F.sha2(F.coalesce(text, F.lit("")).cast("binary"), 256).alias("_sha")), "digests")
+    # Copies are settled by aggregates that combine map-side: the row that stands for a digest is its first by (id, row).
+    stands = digests.groupBy("_sha").agg(F.min(F.struct(F.col("_id").isNull().alias("none"), F.col("_id").alias("_id"), F.col("_row").alias("_row"))).alias("first")).select("_sha", "first.none", "first._id", "first._row")
+    stands = materialise(stands, "stands")
+    rows = numbered.select("_row", text.alias("text"))
+    if stands.count() < digests.count():
+        rows = materialise(rows.join(stands.select("_row"), "_row", "left_semi"), "standing")
+    grouped = stands.join(roots(rows), F.col("_row") == F.col("id"), "left").withColumn("root", F.coalesce("root", "_row"))
+    best = grouped.groupBy("root").agg(F.min(F.struct("none", "_id", "_sha", "_row")).alias("best")).select(F.col("best._row").alias("_row"))
+    gone = materialise(digests.select("_row").join(best, "_row", "left_anti"), "gone")  # of known size, so Spark can choose how to join it
     return numbered.join(gone, "_row", "left_anti").select(*docs.columns)
