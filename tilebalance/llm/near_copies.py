@@ -50,16 +50,17 @@ def _least(n, similar):
 
 
 def sets(rows: DataFrame, words_per_shingle: int = WORDS) -> DataFrame:
-    """rows (_row, text) to (_row, set): packed sorted hashes."""
+    """rows (_row, text) to (_row, set): the distinct hashes."""
+    kind = pa.list_(pa.int64())
 
     def run(batches):
         for batch in batches:
             for a, b in slices(batch.column(1)):
                 part = batch.slice(a, b - a)
-                own = [shingles(t, words_per_shingle).tobytes() for t in part.column(1).to_pylist()]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(own, pa.binary())], names=["_row", "set"])
+                own = [shingles(t, words_per_shingle).view("int64") for t in part.column(1).to_pylist()]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(own, kind)], names=["_row", "set"])
 
-    return rows.select("_row", "text").mapInArrow(run, "_row bigint, set binary")
+    return rows.select("_row", "text").mapInArrow(run, "_row bigint, set array<bigint>")
 
 
 def often(rows: DataFrame, words_per_shingle: int = WORDS):
@@ -113,24 +114,11 @@ def prefixes(rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int
 
 def verified(pairs: DataFrame, rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int, int] = SIMILAR) -> DataFrame:
     """Those pairs (a, b) whose similarity is large enough."""
-    ids = pairs.select(F.col("a").alias("_row")).union(pairs.select("b")).distinct()
+    ids = materialise(pairs.select(F.col("a").alias("_row")).union(pairs.select("b")).distinct(), "ids")  # of known size: no shuffle of texts for a short list
     own = sets(rows.join(ids, "_row", "left_semi"), words_per_shingle)
     both = pairs.join(own.select(F.col("_row").alias("a"), F.col("set").alias("x")), "a").join(own.select(F.col("_row").alias("b"), F.col("set").alias("y")), "b")
-
-    def run(batches):
-        import numpy as np
-
-        for batch in batches:
-            a, b, x, y = batch.columns
-            keep = []
-            for k in range(batch.num_rows):
-                p, q = (np.frombuffer(c[k].as_buffer(), np.uint64) for c in (x, y))
-                same = len(np.intersect1d(p, q, assume_unique=True))
-                keep.append(same * similar[1] >= (len(p) + len(q) - same) * similar[0])
-            keep = pa.array(keep, pa.bool_())
-            yield pa.RecordBatch.from_arrays([a.filter(keep), b.filter(keep)], names=["a", "b"])
-
-    return both.select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint").repartition("a", "b")  # few links become few files
+    same = F.size(F.array_intersect("x", "y"))
+    return both.where(same * similar[1] >= (F.size("x") + F.size("y") - same) * similar[0]).select("a", "b").repartition("a", "b")  # few links become few files
 
 
 def _near(found: DataFrame, rows: DataFrame, words_per_shingle: int, similar: tuple[int, int]) -> DataFrame:

@@ -27,11 +27,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import slices
+
 PER_CLASS, MAX_CHARS = 2000, 30_000
 PREFIXES, FEATURE_BITS = range(4, 9), 20
 WIDTH = 1 + len(PREFIXES)
 _EDGE = re.compile(r"^[\W_]+|[\W_]+$")
-_CACHE_LIMIT = 400_000
+_CACHE_LIMIT = 200_000
 
 
 def held_out(doc_id: Column) -> Column:
@@ -257,33 +259,29 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, max_ch
     return fit([r.text for r in got], [r.toxic for r in got], min(0.99, max(0.01, share)))
 
 
-def _batches(texts: list, chars: int = 1_500_000):
-    a, size = 0, 0
-    for k, t in enumerate(texts):
-        size += len(t or "")
-        if size >= chars:
-            yield a, k + 1
-            a, size = k + 1, 0
-    if a < len(texts):
-        yield a, len(texts)
-
-
-def score_column(model: Field, threshold: float | None = None):
+def score_column(model: Field):
     """A column function: text -> score, over whole texts."""
 
-    @F.pandas_udf("double")
-    def run(texts):
-        import pandas as pd
-
-        rows = texts.tolist()
+    @F.arrow_udf("double")
+    def run(texts: pa.Array) -> pa.Array:
         out: list[float] = []
-        for a, b in _batches(rows):
-            out += [model.score(p) for p in model.marginals([t if isinstance(t, str) else None for t in rows[a:b]])]
-        return pd.Series(out, dtype="float64")
+        for a, b in slices(texts):
+            out += [model.score(p) for p in model.marginals(texts.slice(a, b - a).to_pylist())]
+        return pa.array(out, pa.float64())
 
     return run
 
 
+def offending(text: str | None, p: np.ndarray, at: float) -> list[dict]:
+    """Character offsets and marginals of the tokens that are toxic with probability `at` or more."""
+    lower = (text or "").lower()
+    if not len(p) or p.max() < at:
+        return []
+    same = len(lower) == len(text)  # lower-casing lengthens a few characters; offsets are then found in the text itself
+    tokens = re.finditer(r"\S+", lower if same else text)
+    return [{"start": m.start(), "end": m.end(), "p": float(q)} for m, q in zip(tokens, p) if q >= at]
+
+
 def score_documents(docs: DataFrame, model: Field, id_col: str = "doc_id", text_col: str = "text", spans: bool = False, span_at: float = 0.5) -> DataFrame:
     """One row per input row: doc_id, score (and spans: start, end, p of offending tokens as character offsets).
 
@@ -296,12 +294,12 @@ def score_documents(docs: DataFrame, model: Field, id_col: str = "doc_id", text_
 
     def run(batches):
         for batch in batches:
-            texts = batch.column(1).to_pylist()
-            for a, b in _batches(texts):
-                ps = model.marginals(texts[a:b])
+            for a, b in slices(batch.column(1)):
+                texts = batch.column(1).slice(a, b - a).to_pylist()
+                ps = model.marginals(texts)
                 cols = [batch.column(0).slice(a, b - a), pa.array([model.score(p) for p in ps], pa.float64())]
                 if spans:
-                    cols.append(pa.array([[{"start": m.start(), "end": m.end(), "p": float(q)} for m, q in zip(re.finditer(r"\S+", t or ""), p) if q >= span_at] if len(p) and p.max() >= span_at else [] for t, p in zip(texts[a:b], ps)], place))
+                    cols.append(pa.array([offending(t, p, span_at) for t, p in zip(texts, ps)], place))
                 yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "score", "spans"][: len(cols)])
 
     return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, kind)
