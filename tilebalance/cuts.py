@@ -30,8 +30,11 @@ def prefix_sum_blocked(ordered: DataFrame, block: int, index: str = "curve_idx")
 
 def first_indices(assigned: DataFrame, n_pe: int, by: tuple[str, ...] = ("step",)) -> DataFrame:
     """One row for each key: cuts, the array of the first position of each group (a group without tiles begins where the next does), and m, the tiles."""
-    counts = assigned.groupBy(*by).agg(*[F.sum((F.col("pe") < k).cast("bigint")).alias(f"_c{k}") for k in range(n_pe)], F.count("*").alias("m"))
-    return counts.select(*by, F.array(*[F.col(f"_c{k}") for k in range(n_pe)]).alias("cuts"), "m")
+    counts = assigned.groupBy(*by, "pe").agg(F.count("*").alias("_n"))
+    own = counts.groupBy(*by).agg(F.sum("_n").alias("m")).withColumn("pe", F.explode(F.sequence(F.lit(0), F.lit(n_pe - 1))))
+    before = Window.partitionBy(*by).orderBy("pe").rowsBetween(Window.unboundedPreceding, -1)
+    line = own.join(counts, [*by, "pe"], "left").withColumn("_c", F.coalesce(F.sum("_n").over(before), F.lit(0).cast("bigint")))
+    return line.groupBy(*by).agg(F.transform(F.array_sort(F.collect_list(F.struct("pe", "_c"))), lambda x: x["_c"]).alias("cuts"), F.first("m").alias("m"))
 
 
 def nonempty_cuts(cuts: DataFrame, n_pe: int) -> DataFrame:
@@ -101,4 +104,4 @@ def minimax(ordered: DataFrame, n_pe: int, by: tuple[str, ...] = ("step",), inde
         ok = need(mid) <= n_pe
         return F.struct(F.when(ok, acc["lo"]).otherwise(F.least(mid + 1, acc["hi"])).alias("lo"), F.when(ok, mid).otherwise(acc["hi"]).alias("hi"))
 
-    return lines.select(*by, F.aggregate(F.sequence(F.lit(1), F.lit(48)), bounds, halve, lambda acc: acc["hi"]).alias("bottleneck_u"))
+    return lines.select(*by, F.aggregate(F.sequence(F.lit(1), F.lit(63)), bounds, halve, lambda acc: acc["hi"]).alias("bottleneck_u"))

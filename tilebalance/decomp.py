@@ -6,7 +6,6 @@ from math import prod
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from . import curves, cuts
 from .lattice import Domain
@@ -45,7 +44,7 @@ def _jagged(load: DataFrame, dom: Domain, grid: tuple[int, ...], by: tuple[str,
     keys, pe = list(by), F.lit(0)
     for t, n in zip(dom.tcols, grid):
         part = f"_part_{t}"
-        load = load.join(F.broadcast(_axis_cut(load, keys, t, n, part)), [*keys, t])
+        load = load.join(_axis_cut(load, keys, t, n, part), [*keys, t])
         keys.append(part)
         pe = pe * n + F.col(part)
     return load.withColumn("pe", pe.cast("int"))
@@ -56,7 +55,7 @@ def _rectilinear(load: DataFrame, dom: Domain, grid: tuple[int, ...], by: tuple[
     pe, out = F.lit(0), load
     for t, n in zip(dom.tcols, grid):
         part = f"_part_{t}"
-        out = out.join(F.broadcast(_axis_cut(load, list(by), t, n, part)), [*by, t])
+        out = out.join(_axis_cut(load, list(by), t, n, part), [*by, t])
         pe = pe * n + F.col(part)
     return out.withColumn("pe", pe.cast("int"))
 
@@ -71,7 +70,7 @@ def _refined(load: DataFrame, dom: Domain, grid: tuple[int, ...], by: tuple[str,
         stripes = out.groupBy(*by, dom.tcols[a], *others).agg(F.sum("load_u").alias("load_u"))
         worst = stripes.groupBy(*by, dom.tcols[a]).agg(F.max("load_u").alias("load_u"))
         new = cuts.cut_prefix(worst, grid[a], by=by, index=dom.tcols[a], out="_new").select(*by, dom.tcols[a], "_new")
-        out = out.join(F.broadcast(new), [*by, dom.tcols[a]]).drop(parts[a]).withColumnRenamed("_new", parts[a])
+        out = out.join(new, [*by, dom.tcols[a]]).drop(parts[a]).withColumnRenamed("_new", parts[a])
     pe = F.lit(0)
     for p, n in zip(parts, grid):
         pe = pe * n + F.col(p)
@@ -104,7 +103,7 @@ def decompose(load: DataFrame, dom: Domain, n_pe: int, scheme: str, grid: tuple[
     if scheme == "uniform":
         return load.withColumn("pe", uniform(dom, grid))
     if scheme == "one_axis":
-        return load.join(F.broadcast(_axis_cut(load, list(by), "tx", n_pe, "pe")), [*by, "tx"])
+        return load.join(_axis_cut(load, list(by), "tx", n_pe, "pe"), [*by, "tx"])
     if scheme == "rectilinear":
         return _rectilinear(load, dom, grid, by)
     if scheme == "rectilinear_refined":
@@ -124,8 +123,8 @@ def place(df: DataFrame, n_pe: int) -> DataFrame:
     return df.repartitionById(n_pe, F.col("pe"))
 
 
-def components(assigned: DataFrame, edges: DataFrame, by: tuple[str, ...] = ("step",), rounds: int = 64) -> DataFrame:
-    """Connected regions of each pe over tile faces: by, pe, n_regions.  Labels are smallest tile ids, spread with pointer jumping; lineage is cut by checkpoint()."""
+def components(assigned: DataFrame, edges: DataFrame, by: tuple[str, ...] = ("step",), rounds: int = 200) -> DataFrame:
+    """Connected regions of each pe over tile faces: by, pe, n_regions.  Labels are smallest tile ids, spread with pointer jumping; lineage is cut by checkpoint().  Labels that still move after `rounds` are an error."""
     own = assigned.select(*by, "tile_id", "pe")
     a, b = own.select(*by, F.col("tile_id").alias("a_tile"), "pe"), own.select(*by, F.col("tile_id").alias("b_tile"), "pe")
     links = edges.select("a_tile", "b_tile").join(a, "a_tile").join(b, [*by, "b_tile", "pe"])
@@ -138,9 +137,5 @@ def components(assigned: DataFrame, edges: DataFrame, by: tuple[str, ...] = ("st
         nxt = hooked.join(far, [*by, "new"]).select(*by, "tile_id", "pe", F.least("new", "far").alias("root"), (F.least("new", "far") < F.col("root")).alias("moved")).checkpoint()
         labels = nxt.drop("moved")
         if nxt.where("moved").isEmpty():
-            break
-    return labels.groupBy(*by, "pe").agg(F.countDistinct("root").alias("n_regions"))
-
-
-def line_window(by: tuple[str, ...]) -> Window:
-    return Window.partitionBy(*by).orderBy("curve_idx")
+            return labels.groupBy(*by, "pe").agg(F.countDistinct("root").alias("n_regions"))
+    raise RuntimeError(f"labels still move after {rounds} rounds")

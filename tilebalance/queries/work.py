@@ -56,6 +56,19 @@ def _(spark, d):
     return threads.split_heavy(rows, heavy, 4).groupBy("tile_id", "slot").agg(F.count("*").alias("n"))
 
 
+_TILES = twins.with_(twins.assign(W["w6"], "hilbert", 16), _marked(4), _schedule(4, "NOT is_heavy"))
+query("thr_slot_plan", _TILES + "SELECT step, pe, max(n_heavy) AS n_heavy, CAST(max(time_t) AS BIGINT) AS time_t FROM tim GROUP BY step, pe")(lambda s, d: threads.plan_time(threads.slot_plan(assigned(s, d, "w6", "hilbert", 16), 4), 4))
+
+
+@query("thr_hybrid_place", f"SELECT step, cx, cy, cz, count(*) AS n FROM ({W['w6'].sql()}) GROUP BY ALL")
+def _(spark, d):
+    """Counts of cells made in the placed partitions: one private copy for each partition, copies added up."""
+    v = W["w6"]
+    plan = threads.slot_plan(assigned(spark, d, "w6", "hilbert", 16), 4)
+    placed = threads.place_hybrid(bin_particles(v.particles(spark, d), v.dom), plan, 16, 4)
+    return threads.private_sums(placed, ["step", *v.dom.ccols], {"n": F.lit(1).cast("bigint")})
+
+
 query("thr_wide", twins.with_(twins.assign(W["w6"], "uniform", 16, (2, 2, 4))) + "SELECT step, CAST(max(s) AS DOUBLE) / 4 AS core, sum(s) AS total_u FROM (SELECT step, pe, sum(load_u) AS s FROM asg GROUP BY ALL) GROUP BY step")(
     lambda s, d: metrics.pe_loads(assigned(s, d, "w6", "uniform", 16, (2, 2, 4))).groupBy("step").agg((F.max("load_u") / 4).alias("core"), F.sum("load_u").alias("total_u"))
 )
@@ -259,13 +272,12 @@ query("m_heavy_share", twins.with_(_wake_sql(40).replace("b.pe FROM", "b.pe, a.s
 @query("m_tile_overhead")
 def _(spark, d):
     """Modelled time of tiles (hybrid) over untiled groups on the balanced view, with and without the cost of private copies."""
-    out, v = None, W["w1"]
+    out = None
     for red in (0, 1):
         a = assigned(spark, d, "w1", "hilbert")
         tiled, whole = metrics.core_load(threads.pe_time(a, 4, "hybrid", reduce_cost=red)), metrics.core_load(threads.pe_time(assigned(spark, d, "w1", "uniform").withColumn("curve_idx", F.col("tile_id")), 4, "no_tiles", reduce_cost=red))
         row = tiled.join(whole.select("step", F.col("core_t").alias("w")), "step").select(F.lit(red).alias("reduce_cost"), (F.col("core_t") / F.col("w")).alias("ratio"))
         out = row if out is None else out.unionByName(row)
-    del v
     return out
 
 
@@ -356,4 +368,3 @@ def _(spark, d):
 query("exp_ball_small_tiles", " UNION ALL ".join(f"SELECT '{k}' AS view, * FROM ({twins.with_(_repaired(W[k], 256))} {twins.IMBALANCE.format(n=256, asg='asg')})" for k in ("w6", "w6b")))(
     lambda s, d: metrics.imbalance(assigned(s, d, "w6", "hilbert", 256, (4, 8, 8), nonempty=True), 256).withColumn("view", F.lit("w6")).unionByName(metrics.imbalance(assigned(s, d, "w6b", "hilbert", 256, (4, 8, 8), nonempty=True), 256).withColumn("view", F.lit("w6b")))
 )
-_ = bin_particles

@@ -111,3 +111,39 @@ def split_heavy(particles: DataFrame, heavy: DataFrame, threads: int, key: str =
     """Slot of each particle: rows of heavy tiles are dealt over all threads by their key, others keep slot 0.  heavy has tile_id; it is short (few tiles are heavy) and joined as Spark sees fit."""
     marked = particles.join(heavy.select("tile_id", F.lit(True).alias("_h")), "tile_id", "left")
     return marked.withColumn("slot", F.when(F.col("_h"), F.pmod(F.col(key), F.lit(threads))).otherwise(0).cast("int")).drop("_h")
+
+
+def slot_plan(assigned: DataFrame, threads: int, by: tuple[str, ...] = ("step",), index: str = "curve_idx") -> DataFrame:
+    """by, tile_id, pe, load_u, is_heavy, slot: the thread of each light tile by the schedule of makespan(); heavy tiles have none (null), as all threads share them."""
+    rows = classify(assigned, threads, by)
+    light = F.array_sort(F.collect_list(F.when(~F.col("is_heavy"), F.struct(F.col(index).alias("i"), F.col("load_u").alias("l"), F.col("tile_id").alias("t")))))
+    start = F.struct(F.array_repeat(F.lit(0).cast("bigint"), threads).alias("clocks"), F.array().cast("array<struct<tile_id:bigint,slot:int>>").alias("out"))
+
+    def put(acc: Column, tile: Column) -> Column:
+        at = (F.array_position(acc["clocks"], F.array_min(acc["clocks"])) - 1).cast("int")
+        clocks = F.transform(acc["clocks"], lambda c, i: F.when(i == at, c + tile["l"]).otherwise(c))
+        return F.struct(clocks.alias("clocks"), F.concat(acc["out"], F.array(F.struct(tile["t"].cast("bigint").alias("tile_id"), at.alias("slot")))).alias("out"))
+
+    slots = rows.groupBy(*by, "pe").agg(light.alias("_l")).select(*by, F.inline(F.aggregate("_l", start, put, lambda acc: acc["out"])))
+    return rows.join(slots, [*by, "tile_id"], "left").select(*by, "tile_id", "pe", "load_u", "is_heavy", "slot")
+
+
+def plan_time(plan: DataFrame, threads: int, by: tuple[str, ...] = ("step",)) -> DataFrame:
+    """by, pe, n_heavy, time_t of a slot plan: the fullest slot times threads, plus the heavy tiles' load."""
+    own = plan.groupBy(*by, "pe", "slot").agg(F.sum("load_u").alias("s"), F.sum(F.col("is_heavy").cast("bigint")).alias("h"))
+    shared, alone = F.max(F.when(F.col("slot").isNull(), F.col("s"))), F.max(F.when(F.col("slot").isNotNull(), F.col("s")))
+    return own.groupBy(*by, "pe").agg(F.sum("h").alias("n_heavy"), (F.coalesce(alone, F.lit(0)) * threads + F.coalesce(shared, F.lit(0))).cast("bigint").alias("time_t"))
+
+
+def place_hybrid(particles: DataFrame, plan: DataFrame, n_pe: int, threads: int, by: tuple[str, ...] = ("step",)) -> DataFrame:
+    """Particles (with tile_id) in n_pe * threads partitions: those of light tiles in partition pe * threads + slot, those of heavy tiles dealt over all slots of their group in turn, so equal rows are dealt too."""
+    turn = F.pmod(F.monotonically_increasing_id(), F.lit(threads)).cast("int")
+    marked = particles.withColumn("_turn", turn).join(plan.select(*by, "tile_id", "pe", "slot"), [*by, "tile_id"])
+    part = (F.col("pe") * threads + F.coalesce("slot", "_turn")).cast("int")
+    return marked.withColumn("part", part).drop("_turn", "slot").repartitionById(n_pe * threads, F.col("part"))
+
+
+def private_sums(placed: DataFrame, keys: list[str], amounts: dict[str, Column]) -> DataFrame:
+    """Sums by keys over placed rows: each partition adds up its own copy, without a shuffle; the copies of shared cells are then added up."""
+    first = placed.groupBy("part", *keys).agg(*[F.sum(c).alias(n) for n, c in amounts.items()])
+    return first.groupBy(*keys).agg(*[F.sum(n).alias(n) for n in amounts])
