@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .lattice import Domain
+from .lattice import Domain, lattice
 
 
 class CurveShapeError(ValueError):
@@ -179,6 +179,18 @@ def by_load(load: DataFrame, by: tuple[str, ...] = ("step",)) -> DataFrame:
 INDEX = {"row_major": row_major, "snake": snake_index, "hilbert": hilbert_index}
 
 
+#: Tiles up to which particles find their index in a broadcast table of the lattice (16 bytes a tile).
+TABLE_TILES = 100_000
+
+
+def index_particles(binned: DataFrame, dom: Domain, curve: str = "hilbert") -> DataFrame:
+    """Adds curve_idx to rows with tile_id: computed once a tile and looked up; for more than TABLE_TILES tiles, computed for each row."""
+    if dom.n_tiles > TABLE_TILES:
+        return binned.withColumn("curve_idx", INDEX[curve](dom))
+    table = lattice(binned.sparkSession, dom).select("tile_id", INDEX[curve](dom).alias("curve_idx"))
+    return binned.join(F.broadcast(table), "tile_id", "left")
+
+
 def gaps(ordered: DataFrame, dom: Domain) -> DataFrame:
     """Neighbours along curve_idx that do not share a face (for a contiguous curve: none)."""
     w = Window.orderBy("curve_idx")

@@ -49,10 +49,12 @@ def nonempty_cuts(cuts: DataFrame, n_pe: int) -> DataFrame:
 
 
 def assign_by_cuts(ordered: DataFrame, cuts: DataFrame, by: tuple[str, ...] = ("step",), index: str = "curve_idx") -> DataFrame:
-    """Group of each row as the number of cuts at or before its index: the map is n_pe longs a key, broadcast; no join with tiles."""
-    keyed = cuts.select(*by, "cuts")
+    """Group of each row as the number of cuts at or before its index, found by halving: the map is n_pe longs a key, broadcast."""
+    halves = F.transform(F.sequence(F.floor(F.log2(F.size("cuts"))).cast("int"), F.lit(0), F.lit(-1)), lambda k: F.call_function("shiftleft", F.lit(1), k))
+    keyed = cuts.select(*by, "cuts", halves.alias("_halves"))
     joined = ordered.join(F.broadcast(keyed), list(by)) if by else ordered.crossJoin(F.broadcast(keyed))
-    return joined.withColumn("pe", (F.size(F.filter("cuts", lambda c: c <= F.col(index))) - 1).cast("int")).drop("cuts")
+    found = F.aggregate("_halves", F.lit(0), lambda n, s: F.when(F.get("cuts", n + s - 1) <= F.col(index), n + s).otherwise(n))
+    return joined.withColumn("pe", found - 1).drop("cuts", "_halves")
 
 
 def ensure_nonempty(ordered: DataFrame, assigned: DataFrame, n_pe: int, by: tuple[str, ...] = ("step",)) -> DataFrame:

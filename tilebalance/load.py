@@ -7,9 +7,6 @@ from pyspark.sql import functions as F
 
 from .lattice import Domain, bin_particles, lattice
 
-#: Tiles above which the lattice is joined by a shuffle instead of a broadcast of the counts.
-BROADCAST_TILES = 200_000
-
 
 def load_array(particles: DataFrame, dom: Domain, cell_weight: tuple[int, int] = (1, 1), by: tuple[str, ...] = ("step",), weight_col: str | None = None, formula: Column | None = None) -> DataFrame:
     """by, tile_id, tx.., n_part, n_cells, load_u.
@@ -18,7 +15,8 @@ def load_array(particles: DataFrame, dom: Domain, cell_weight: tuple[int, int] =
     n_part + numerator * n_cells.  weight_col counts weights instead of
     particles; formula replaces the model by any expression of n_part and
     n_cells.  Particles are counted map-side, so at most one row for each tile
-    and task is shuffled.
+    and task is shuffled; the counts meet the lattice on the keys they were
+    shuffled by, or by broadcast where Spark finds them small.
     """
     num, den = cell_weight
     spark, keys = particles.sparkSession, list(by)
@@ -27,8 +25,6 @@ def load_array(particles: DataFrame, dom: Domain, cell_weight: tuple[int, int] =
     tiles = lattice(spark, dom)
     if keys:
         tiles = tiles.crossJoin(F.broadcast(particles.select(*keys).distinct()))
-    if dom.n_tiles <= BROADCAST_TILES:
-        counts = F.broadcast(counts)
     full = tiles.join(counts, [*keys, "tile_id"], "left").withColumn("n_part", F.coalesce("n_part", F.lit(0).cast("bigint")))
     load = formula if formula is not None else F.col("n_part") * den + F.col("n_cells") * num
     return full.withColumn("load_u", load.cast("bigint")).select(*keys, "tile_id", *dom.tcols, "n_part", "n_cells", "load_u")

@@ -183,7 +183,7 @@ def _(spark, d):
     """Particles find their group by n_pe broadcast keys, without a join with tiles."""
     v = W["w7"]
     keys = cuts.first_indices(assigned(spark, d, "w7", "hilbert"), v.n_pe)
-    rows = bin_particles(v.particles(spark, d), v.dom).withColumn("curve_idx", curves.hilbert_index(v.dom))
+    rows = curves.index_particles(bin_particles(v.particles(spark, d), v.dom), v.dom)
     return cuts.assign_by_cuts(rows, keys).groupBy("step", "pe").agg(F.count("*").alias("n"))
 
 
@@ -281,7 +281,7 @@ def _(spark, d):
     """Rows outside the partition of their group: none."""
     v = W["w7"]
     keys = cuts.first_indices(assigned(spark, d, "w7", "hilbert"), v.n_pe)
-    rows = cuts.assign_by_cuts(bin_particles(v.particles(spark, d), v.dom).withColumn("curve_idx", curves.hilbert_index(v.dom)), keys)
+    rows = cuts.assign_by_cuts(curves.index_particles(bin_particles(v.particles(spark, d), v.dom), v.dom), keys)
     return decomp.place(rows, v.n_pe).withColumn("at", F.spark_partition_id()).agg(F.count_if(F.col("at") != F.col("pe")).alias("violations"))
 
 

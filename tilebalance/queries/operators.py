@@ -6,7 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from . import query
+from ..views import VIEWS
+from . import query, twins
 
 
 def t(spark: SparkSession, d: str, name: str) -> DataFrame:
@@ -134,7 +135,7 @@ query("op_sample_mod", "SELECT 16 * count(*) AS estimate, (SELECT count(*) FROM
 both("op_recursive_cte", "WITH RECURSIVE r AS (SELECT 1 AS k, 1 AS f UNION ALL SELECT k + 1, f * 2 FROM r WHERE k < 20) SELECT k, f FROM r", "nation")
 
 
-@query("op_sql_surface", None)
+@query("op_sql_surface", twins.with_(twins.load(VIEWS["w7"])) + "SELECT tx, ty, load_u FROM load WHERE step = 50")
 def _(spark, d):
     """The load of the disc as one SQL text over views: equal rows to load_array (tested)."""
     views(spark, d, "lineitem", "part", "orders")
@@ -178,6 +179,21 @@ def _(spark, d):
     return spark.read.parquet(path).where("o_orderstatus = 'F'").groupBy("o_orderstatus").agg(F.count("*").alias("n"))
 
 
+@query("op_sink_bucketed", "SELECT o_orderstatus, count(*) AS n, sum(c_nationkey) AS s FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
+def _(spark, d):
+    """Both sides are written in buckets of the join key, so their join needs no exchange."""
+    from uuid import uuid4
+
+    from ..sources.files import scratch
+
+    sides = []
+    for table, key, *more in (("orders", "o_custkey", "o_orderstatus"), ("customer", "c_custkey", "c_nationkey")):
+        name = f"bucketed_{table}_{uuid4().hex}"
+        t(spark, d, table).select(key, *more).repartition(8, key).write.bucketBy(8, key).sortBy(key).option("path", scratch(spark, name)).saveAsTable(name)
+        sides.append(spark.table(name))
+    return sides[0].join(sides[1].hint("merge"), F.col("o_custkey") == F.col("c_custkey")).groupBy("o_orderstatus").agg(F.count("*").alias("n"), F.sum("c_nationkey").alias("s"))
+
+
 # Functions of one's own.
 @query("udf_scalar", "SELECT o_orderkey, least(9, o_orderkey // 100) AS pe FROM orders")
 def _(spark, d):

@@ -49,6 +49,26 @@ def _(spark, d):
     return events.drain(a.join(b, F.expr("u = v AND tb > ta AND tb <= ta + INTERVAL 1 HOUR"))).agg(F.count("*").alias("n"))
 
 
+def _batch(spark, d):
+    return spark.read.parquet(f"{d}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+@query("st_late", f"SELECT {_DAY} AS day, count(*) AS n FROM events GROUP BY 1 HAVING {_DAY} + 1 <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY")
+def _(spark, d):
+    """All events, then after a restart the same ones again: days that the watermark has closed are given once and take no late rows."""
+    rows = _batch(spark, d).select("ts")
+    counts = lambda s: s.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n")).select(F.to_date("w.start").alias("day"), "n")
+    return events.replay([rows, rows], counts)
+
+
+@query("st_tile_state", f"SELECT {_TILE} AS tile_id, count(*) AS n_part FROM events GROUP BY 1")
+def _(spark, d):
+    """Totals of tiles held in state over a restart: half of the events before it, half after."""
+    rows = _batch(spark, d).selectExpr("event_id", "cast(user_id % 16 + least(15, cast(floor(value / 16) AS bigint)) * 16 AS bigint) AS tile_id")
+    parts = [rows.where(F.col("event_id") % 2 == k) for k in (0, 1)]
+    return events.replay(parts, lambda s: events.tile_totals(s.select("tile_id"))).groupBy("tile_id").agg(F.max("n_part").alias("n_part"))
+
+
 @query("st_rebalance")
 def _(spark, d):
     """Each batch's counts make a new map of 8 groups; the imbalance of each batch under its map."""

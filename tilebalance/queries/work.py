@@ -269,7 +269,16 @@ query("m_heavy_share", twins.with_(_wake_sql(40).replace("b.pe FROM", "b.pe, a.s
 )
 
 
-@query("m_tile_overhead")
+def _overhead_sql() -> str:
+    parts = []
+    for red in (0, 1):
+        tiled = twins.with_(twins.assign(W["w1"], "hilbert"), _marked(4), _schedule(4, "NOT is_heavy", reduce_cost=red)) + "SELECT max(time_t) AS a FROM tim"
+        whole = twins.with_(twins.assign(W["w1"], "uniform"), _marked(4, "(SELECT *, tile_id AS curve_idx FROM asg)"), _schedule(4, "FALSE", reduce_cost=red)) + "SELECT max(time_t) AS b FROM tim"
+        parts.append(f"SELECT {red} AS reduce_cost, CAST(a AS DOUBLE) / CAST(b AS DOUBLE) AS ratio FROM ({tiled}) x, ({whole}) y")
+    return " UNION ALL ".join(parts)
+
+
+@query("m_tile_overhead", _overhead_sql())
 def _(spark, d):
     """Modelled time of tiles (hybrid) over untiled groups on the balanced view, with and without the cost of private copies."""
     out = None
@@ -281,7 +290,14 @@ def _(spark, d):
     return out
 
 
-@query("m_dlb_overhead")
+def _dlb_sql() -> str:
+    c = cost.Cost()
+    move = "SELECT {k} AS every, count(DISTINCT (step, src, dst)) * {lat} AS l, coalesce(sum(n_part * {p} + n_cells * {q}), 0) AS m FROM (SELECT a.step, b.pe AS src, a.pe AS dst, a.n_part, a.n_cells FROM asg a JOIN asg b ON a.tile_id = b.tile_id AND a.pe <> b.pe AND a.step % {k} = 0 AND b.step = a.step - {k})"
+    moves = " UNION ALL ".join(move.format(k=k, lat=c.latency, p=c.migrate_part, q=c.migrate_cell) for k in (20, 40, 80))
+    return twins.with_(twins.assign(W["w9"], "hilbert"), f"mv AS ({moves})") + "SELECT every, CAST(m + l AS DOUBLE) / CAST((SELECT sum(load_u) * 20 FROM load) + m + l AS DOUBLE) AS share FROM mv"
+
+
+@query("m_dlb_overhead", _dlb_sql())
 def _(spark, d):
     """Modelled share of the run that rebalancing takes: what migrates against what is pushed, by interval."""
     from .. import rebalance
@@ -365,6 +381,51 @@ def _(spark, d):
     return out.select("n_pe", "threads", "variant", F.round(F.col("time_u") / F.min("time_u").over(Window.partitionBy()), 4).alias("time_norm"))
 
 
-query("exp_ball_small_tiles", " UNION ALL ".join(f"SELECT '{k}' AS view, * FROM ({twins.with_(_repaired(W[k], 256))} {twins.IMBALANCE.format(n=256, asg='asg')})" for k in ("w6", "w6b")))(
+#: Runs of the wake by scheme and interval, with the cost of borders and of migration; each sampled step stands for 20.
+_RUNS = (("uniform", None), ("hilbert", None), ("hilbert", 80), ("hilbert", 40), ("hilbert", 20))
+
+
+def _run_sql() -> str:
+    v, c, t, parts = W["w9"], cost.Cost(), 4, []
+    nx, ny = v.dom.tiles
+    faces = f"fac AS (SELECT step, 0 AS axis, tile_id AS a, (tx + 1) % {nx} + ty * {nx} AS b, {v.dom.tile[1]} AS cells FROM lat UNION ALL SELECT step, 1, tile_id, tx + ((ty + 1) % {ny}) * {nx}, {v.dom.tile[0]} FROM lat)"
+    for scheme, every in _RUNS:
+        source = "(SELECT *, tile_id AS curve_idx FROM held)" if scheme == "uniform" else "(SELECT held.*, cur.curve_idx FROM held JOIN lat USING (step, tile_id) JOIN cur USING (tx, ty))"
+        moved = f"a.step % {every} = 0 AND b.step = a.step - {every}" if every else "FALSE"
+        own = twins.with_(
+            _wake_sql(every, scheme), _marked(t, source), _schedule(t, "NOT is_heavy"), faces,
+            "ext AS (SELECT fac.step, axis, cells, x.pe AS a_pe, y.pe AS b_pe FROM fac JOIN held x ON x.step = fac.step AND x.tile_id = a JOIN held y ON y.step = fac.step AND y.tile_id = b WHERE x.pe <> y.pe)",
+            "snd AS (SELECT step, axis, a_pe AS pe, b_pe AS o, cells FROM ext UNION ALL SELECT step, axis, b_pe, a_pe, cells FROM ext)",
+            f"com AS (SELECT step, pe, count(DISTINCT axis * 100000 + o) * {c.latency} + sum(cells) * {c.per_cell} AS u FROM snd GROUP BY ALL)",
+            f"mov AS (SELECT a.step, b.pe AS src, a.pe AS dst, a.n_part, a.n_cells FROM asg a JOIN asg b ON a.tile_id = b.tile_id AND a.pe <> b.pe AND {moved})",
+            f"mig AS (SELECT step, src, count(DISTINCT dst) * {c.latency} + sum(n_part) * {c.migrate_part} + sum(n_cells) * {c.migrate_cell} AS u FROM mov GROUP BY ALL)",
+            f"stp AS (SELECT tim.step, max(time_t) AS w, max(time_t + coalesce(u, 0) * {t}) AS s FROM tim LEFT JOIN com USING (step, pe) GROUP BY ALL)",
+        )
+        late = f"100 * {t} * coalesce((SELECT sum(m) FROM (SELECT max(u) AS m FROM mig GROUP BY step)), 0)"
+        parts.append(f"SELECT * FROM ({own} SELECT '{scheme}' AS scheme, {every or 0} AS every, CAST(sum(w) * 2000 AS BIGINT) AS work_t, CAST({late} AS BIGINT) AS migrate_t, CAST(sum(s) * 2000 + {late} AS BIGINT) AS time_t FROM stp)")
+    return " UNION ALL ".join(parts)
+
+
+@query("exp_wake_run_time", _run_sql())
+def _(spark, d):
+    """Modelled time of whole runs: the slowest group's work alone (work_t), what migration adds, and all with borders (time_t)."""
+    from .. import curves, exchange, rebalance
+
+    base, v, t, out = load_of(spark, d, "w9"), W["w9"], 4, None
+    edges = exchange.tile_edges(spark, v.dom)
+    for scheme, every in _RUNS:
+        make = lambda x, c=scheme: decomp.decompose(x, v.dom, v.n_pe, c, v.grid)
+        held = rebalance.run(base, make, every).withColumn("curve_idx", F.col("tile_id") if scheme == "uniform" else curves.hilbert_index(v.dom))
+        times = threads.pe_time(held, t)
+        steps = cost.step_time(times, t, cost.border_cost(exchange.classify_edges(edges, held), v.dom))
+        moved = cost.migration_cost(rebalance.migration(make(base.where(F.col("step") % every == 0)), every)) if every else spark.createDataFrame([], "step int, migrate_u bigint")
+        work = cost.run_time(cost.step_time(times, t), t, repeat=20).select(F.col("time_t").alias("work_t"))
+        row = cost.run_time(steps, t, moved, 20).crossJoin(F.broadcast(work)).crossJoin(F.broadcast(moved.agg((F.coalesce(F.sum("migrate_u"), F.lit(0)) * (100 * t)).alias("migrate_t"))))
+        row = row.select(F.lit(scheme).alias("scheme"), F.lit(every or 0).alias("every"), "work_t", "migrate_t", "time_t")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+query("exp_ball_small_tiles"," UNION ALL ".join(f"SELECT '{k}' AS view, * FROM ({twins.with_(_repaired(W[k], 256))} {twins.IMBALANCE.format(n=256, asg='asg')})" for k in ("w6", "w6b")))(
     lambda s, d: metrics.imbalance(assigned(s, d, "w6", "hilbert", 256, (4, 8, 8), nonempty=True), 256).withColumn("view", F.lit("w6")).unionByName(metrics.imbalance(assigned(s, d, "w6b", "hilbert", 256, (4, 8, 8), nonempty=True), 256).withColumn("view", F.lit("w6b")))
 )

@@ -38,6 +38,29 @@ def each_batch(df: DataFrame, act: Callable[[DataFrame, int], None]) -> None:
     df.writeStream.foreachBatch(act).option("checkpointLocation", f"{own}/state").trigger(availableNow=True).start().awaitTermination()
 
 
+def replay(parts: list[DataFrame], act: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """Feed parts one after another to a stream that ends after each and starts again from its checkpoint; the rows appended by all runs."""
+    spark = parts[0].sparkSession
+    own, schema = scratch(spark, "stream"), parts[0].schema
+    for part in parts:
+        part.write.mode("append").parquet(f"{own}/in")
+        out = act(spark.readStream.schema(schema).parquet(f"{own}/in"))
+        out.writeStream.format("parquet").option("path", f"{own}/rows").option("checkpointLocation", f"{own}/state").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(out.schema).parquet(f"{own}/rows")
+
+
+def tile_totals(stream: DataFrame) -> DataFrame:
+    """tile_id, n_part: each tile's particles since the stream began, given anew whenever some arrive; state is one number a tile."""
+    import pandas as pd
+
+    def update(key, chunks, state):
+        n = (state.get[0] if state.exists else 0) + sum(len(c) for c in chunks)
+        state.update((n,))
+        yield pd.DataFrame({"tile_id": [key[0]], "n_part": [n]})
+
+    return stream.groupBy("tile_id").applyInPandasWithState(update, "tile_id bigint, n_part bigint", "n bigint", "append", "NoTimeout")
+
+
 def tile_counts(stream: DataFrame, window: str = "1 day", late: str = "1 day") -> DataFrame:
     """Particles by window and tile; rows later than the watermark are dropped, state is one row a tile and open window."""
     tiles = stream.withWatermark("ts", late).withColumn("tile_id", F.col("user_id").cast("bigint") % 16 + F.least(F.lit(15), F.floor(F.col("value") / 16)) * 16)
