@@ -10,7 +10,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .lattice import Domain
@@ -47,7 +47,7 @@ def migration_cost(plan: DataFrame, cost: Cost = Cost()) -> DataFrame:
     return sent.groupBy(F.col("epoch").alias("step")).agg(F.max("_u").alias("migrate_u"))
 
 
-def step_time(times: DataFrame, threads: int, comm: DataFrame | None = None, cost: Cost = Cost(), by: tuple[str, ...] = ("step",)) -> DataFrame:
+def step_time(times: DataFrame, threads: Column | int, comm: DataFrame | None = None, cost: Cost = Cost(), by: tuple[str, ...] = ("step",)) -> DataFrame:
     """by, time_t: the slowest group's time with its border work (rows of comm with by, pe, comm_u are added up); a share of each group's load is not threaded."""
     work = F.col("time_t") * (100 - cost.serial_percent) + F.col("load_u") * (cost.serial_percent * threads)
     own = times.select(*by, "pe", work.alias("_t"))

@@ -28,16 +28,16 @@ def prefix_sum_blocked(ordered: DataFrame, block: int, index: str = "curve_idx")
     return named.join(before, "_block").withColumn("cum_u", F.col("_before") + F.sum("load_u").over(own)).drop("_block", "_before")
 
 
-def first_indices(assigned: DataFrame, n_pe: int, by: tuple[str, ...] = ("step",)) -> DataFrame:
+def first_indices(assigned: DataFrame, n_pe: Column | int, by: tuple[str, ...] = ("step",)) -> DataFrame:
     """One row for each key: cuts, the array of the first position of each group (a group without tiles begins where the next does), and m, the tiles."""
     counts = assigned.groupBy(*by, "pe").agg(F.count("*").alias("_n"))
-    own = counts.groupBy(*by).agg(F.sum("_n").alias("m")).withColumn("pe", F.explode(F.sequence(F.lit(0), F.lit(n_pe - 1))))
+    own = counts.groupBy(*by).agg(F.sum("_n").alias("m")).withColumn("pe", F.explode(F.sequence(F.lit(0), F.lit(n_pe) - 1)))
     before = Window.partitionBy(*by).orderBy("pe").rowsBetween(Window.unboundedPreceding, -1)
     line = own.join(counts, [*by, "pe"], "left").withColumn("_c", F.coalesce(F.sum("_n").over(before), F.lit(0).cast("bigint")))
     return line.groupBy(*by).agg(F.transform(F.array_sort(F.collect_list(F.struct("pe", "_c"))), lambda x: x["_c"]).alias("cuts"), F.first("m").alias("m"))
 
 
-def nonempty_cuts(cuts: DataFrame, n_pe: int) -> DataFrame:
+def nonempty_cuts(cuts: DataFrame, n_pe: Column | int) -> DataFrame:
     """Shifts cuts so that every group has a tile: cut k becomes k plus the running maximum of cut j - j, at most m - (n - k)."""
     fold = F.aggregate(
         F.transform("cuts", lambda c, k: c - k),
@@ -57,7 +57,7 @@ def assign_by_cuts(ordered: DataFrame, cuts: DataFrame, by: tuple[str, ...] = ("
     return joined.withColumn("pe", found - 1).drop("cuts", "_halves")
 
 
-def ensure_nonempty(ordered: DataFrame, assigned: DataFrame, n_pe: int, by: tuple[str, ...] = ("step",)) -> DataFrame:
+def ensure_nonempty(ordered: DataFrame, assigned: DataFrame, n_pe: Column | int, by: tuple[str, ...] = ("step",)) -> DataFrame:
     """ordered with repaired groups; its index must count 0, 1, ...  More groups than tiles is an error (raised when run)."""
     cuts = first_indices(assigned, n_pe, by)
     checked = cuts.withColumn("m", F.when(F.col("m") >= n_pe, F.col("m")).otherwise(F.raise_error(F.lit("more groups than tiles")).cast("bigint")))

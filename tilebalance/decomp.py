@@ -33,13 +33,13 @@ def factors(n: int, shape: tuple[int, ...]) -> tuple[int, ...]:
     return best[1]
 
 
-def _axis_cut(load: DataFrame, keys: list[str], t: str, n: int, out: str) -> DataFrame:
+def _axis_cut(load: DataFrame, keys: list[str], t: str, n: Column | int, out: str) -> DataFrame:
     """Cut the projection of load on axis t, separately for each key."""
     line = load.groupBy(*keys, t).agg(F.sum("load_u").alias("load_u"))
     return cuts.cut_prefix(line, n, by=tuple(keys), index=t, out=out).select(*keys, t, out)
 
 
-def _jagged(load: DataFrame, dom: Domain, grid: tuple[int, ...], by: tuple[str, ...]) -> DataFrame:
+def _jagged(load: DataFrame, dom: Domain, grid: tuple[Column | int, ...], by: tuple[str, ...]) -> DataFrame:
     """Stripes along x, each cut by itself along y, each part along z."""
     keys, pe = list(by), F.lit(0)
     for t, n in zip(dom.tcols, grid):
@@ -50,7 +50,7 @@ def _jagged(load: DataFrame, dom: Domain, grid: tuple[int, ...], by: tuple[str,
     return load.withColumn("pe", pe.cast("int"))
 
 
-def _rectilinear(load: DataFrame, dom: Domain, grid: tuple[int, ...], by: tuple[str, ...]) -> DataFrame:
+def _rectilinear(load: DataFrame, dom: Domain, grid: tuple[Column | int, ...], by: tuple[str, ...]) -> DataFrame:
     """Every axis cut by its projection of the whole domain, so corners match."""
     pe, out = F.lit(0), load
     for t, n in zip(dom.tcols, grid):
@@ -77,10 +77,11 @@ def _refined(load: DataFrame, dom: Domain, grid: tuple[int, ...], by: tuple[str,
     return out.withColumn("pe", pe.cast("int"))
 
 
-def uniform(dom: Domain, grid: tuple[int, ...]) -> Column:
+def uniform(dom: Domain, grid: tuple[int | str, ...]) -> Column:
+    """Equal boxes; grid is a number or an SQL expression for each axis."""
     pe = F.lit(0)
     for t, n, g in zip(dom.tcols, dom.tiles, grid):
-        pe = pe * g + F.expr(f"{t} * {g} div {n}")
+        pe = pe * F.expr(str(g)) + F.expr(f"{t} * {g} div {n}")
     return pe.cast("int")
 
 
@@ -118,6 +119,24 @@ def decompose(load: DataFrame, dom: Domain, n_pe: int, scheme: str, grid: tuple[
     return cuts.ensure_nonempty(line, cut, n_pe, by) if nonempty else cut
 
 
+def decompose_each(load: DataFrame, dom: Domain, counts: tuple[int, ...], scheme: str, by: tuple[str, ...] = ("step",), nonempty: bool = False) -> DataFrame:
+    """load with n_pe and pe, once for each number of groups in counts.  All maps are one plan: n_pe is one more key of the windows, so the tiles are counted and shuffled once.  Schemes: uniform, rectilinear, jagged, row_major, snake, hilbert, by_load."""
+    if not counts or min(counts) < 1 or max(counts) > dom.n_tiles:
+        raise ValueError(f"{counts} groups of {dom.n_tiles} tiles")
+    keys = (*by, "n_pe")
+    boxes = scheme in ("uniform", "rectilinear", "jagged")
+    many = (load if boxes else ordered(load, dom, scheme, by)).withColumn("n_pe", F.explode(F.array(*[F.lit(n) for n in counts])))
+    sides = zip(*[factors(n, dom.tiles) for n in counts])
+    grid = tuple(f"element_at(map({', '.join(f'{n}, {g}' for n, g in zip(counts, axis))}), n_pe)" for axis in sides)
+    if scheme == "uniform":
+        return many.withColumn("pe", uniform(dom, grid))
+    if boxes:
+        cut = _jagged if scheme == "jagged" else _rectilinear
+        return cut(many, dom, tuple(map(F.expr, grid)), keys)
+    cut = cuts.cut_prefix(many, F.col("n_pe"), keys)
+    return cuts.ensure_nonempty(many, cut, F.col("n_pe"), keys) if nonempty else cut
+
+
 def place(df: DataFrame, n_pe: int) -> DataFrame:
     """Rows with pe k in partition k."""
     return df.repartitionById(n_pe, F.col("pe"))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .lattice import Domain, bin_particles, lattice
 
 
-def load_array(particles: DataFrame, dom: Domain, cell_weight: tuple[int, int] = (1, 1), by: tuple[str, ...] = ("step",), weight_col: str | None = None, formula: Column | None = None) -> DataFrame:
+def load_array(particles: DataFrame, dom: Domain, cell_weight: tuple[int, int] = (1, 1), by: tuple[str, ...] = ("step",), weight_col: str | None = None, formula: Column | None = None, steps: DataFrame | None = None) -> DataFrame:
     """by, tile_id, tx.., n_part, n_cells, load_u.
 
     cell_weight is a ratio (numerator, denominator): load_u = denominator *
@@ -16,7 +16,9 @@ def load_array(particles: DataFrame, dom: Domain, cell_weight: tuple[int, int] =
     particles; formula replaces the model by any expression of n_part and
     n_cells.  Particles are counted map-side, so at most one row for each tile
     and task is shuffled; the counts meet the lattice on the keys they were
-    shuffled by, or by broadcast where Spark finds them small.
+    shuffled by, or by broadcast where Spark finds them small.  steps (rows of
+    by) names the keys that get a lattice each, with or without particles; if it
+    is not given they are learnt by a second scan of the particles.
     """
     num, den = cell_weight
     spark, keys = particles.sparkSession, list(by)
@@ -24,7 +26,7 @@ def load_array(particles: DataFrame, dom: Domain, cell_weight: tuple[int, int] =
     counts = bin_particles(particles, dom).groupBy(*keys, "tile_id").agg(amount.alias("n_part"))
     tiles = lattice(spark, dom)
     if keys:
-        tiles = tiles.crossJoin(F.broadcast(particles.select(*keys).distinct()))
+        tiles = tiles.crossJoin(F.broadcast(particles.select(*keys).distinct() if steps is None else steps))
     full = tiles.join(counts, [*keys, "tile_id"], "left").withColumn("n_part", F.coalesce("n_part", F.lit(0).cast("bigint")))
     load = formula if formula is not None else F.col("n_part") * den + F.col("n_cells") * num
     return full.withColumn("load_u", load.cast("bigint")).select(*keys, "tile_id", *dom.tcols, "n_part", "n_cells", "load_u")

@@ -21,6 +21,6 @@ def query(name: str, sql: str | None = None):
 
 
 def load_all() -> dict[str, tuple[Query, str | None]]:
-    from . import balance, borders, operators, streams, work  # noqa: F401
+    from . import balance, borders, operators, scaling, streams, work  # noqa: F401
 
     return REGISTRY

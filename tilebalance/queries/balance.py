@@ -18,7 +18,7 @@ W = VIEWS
 
 def load_of(spark: SparkSession, d: str, view: str, weight=None) -> DataFrame:
     v = W[view]
-    return loads.load_array(v.particles(spark, d), v.dom, weight or v.weight)
+    return loads.load_array(v.particles(spark, d), v.dom, weight or v.weight, steps=v.times(spark))
 
 
 def assigned(spark: SparkSession, d: str, view: str, scheme: str, n_pe: int | None = None, grid=None, **options) -> DataFrame:

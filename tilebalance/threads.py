@@ -13,24 +13,25 @@ from pyspark.sql.window import Window
 MODES = ("hybrid", "light_only", "heavy_only", "no_tiles", "task")
 
 
-def classify(assigned: DataFrame, threads: int, by: tuple[str, ...] = ("step",)) -> DataFrame:
+def classify(assigned: DataFrame, threads: Column | int, by: tuple[str, ...] = ("step",)) -> DataFrame:
     """Adds is_heavy: the tile's load reaches its group's mean load a thread, or the group has fewer tiles than threads."""
     own = Window.partitionBy(*by, "pe")
     return assigned.withColumn("is_heavy", (F.col("load_u") * threads >= F.sum("load_u").over(own)) | (F.count("*").over(own) < threads))
 
 
-def makespan(loads: Column, threads: int) -> Column:
-    """Largest clock after first-come scheduling of an array of loads, in order, each to the lowest-numbered thread with the least clock."""
+def makespan(loads: Column, threads: Column | int) -> Column:
+    """Largest clock after first-come scheduling of an array of loads, in order, each to a thread with the least clock (which of equal ones makes no difference to the largest).  The clocks are kept sorted, so a load costs one native sort of `threads` numbers."""
     clocks = F.array_repeat(F.lit(0).cast("bigint"), threads)
-    put = lambda acc, load: F.transform(acc, lambda c, i: F.when(i == F.array_position(acc, F.array_min(acc)) - 1, c + load).otherwise(c))
+    put = lambda acc, load: F.sort_array(F.concat(F.slice(acc, 2, threads), F.array(F.get(acc, F.lit(0)) + load)))
     return F.aggregate(loads, clocks, put, F.array_max)
 
 
-def pe_time(assigned: DataFrame, threads: int, mode: str = "hybrid", by: tuple[str, ...] = ("step",), reduce_cost: int = 0, index: str = "curve_idx") -> DataFrame:
+def pe_time(assigned: DataFrame, threads: Column | int, mode: str = "hybrid", by: tuple[str, ...] = ("step",), reduce_cost: int = 0, index: str = "curve_idx") -> DataFrame:
     """by, pe, load_u, n_tiles, n_heavy, time_t (time multiplied by threads).
 
     reduce_cost is charged for every cell of each block that threads share with
-    private copies: threads * cells, in load units.
+    private copies: threads * cells, in load units.  threads may be one of the
+    key columns, so that many thread counts are one plan.
     """
     if mode not in MODES or mode == "task":
         raise ValueError(f"mode must be one of {MODES[:-1]}; tasks have task_time()")

@@ -48,6 +48,10 @@ class View:
             parts.append(f"SELECT st.step, {s.species} AS species, {cells} FROM (SELECT * FROM (SELECT {inner} FROM {s.table}) WHERE {_fill(s.where, True)}) CROSS JOIN (VALUES {values}) st(step, p)")
         return " UNION ALL ".join(parts)
 
+    def times(self, spark: SparkSession) -> DataFrame:
+        """One row for each step."""
+        return spark.createDataFrame([(s,) for s, _ in self.steps], "step int")
+
     def particles(self, spark: SparkSession, sf_dir: str) -> DataFrame:
         """The same rows as a DataFrame; scans read only the named columns."""
         sizes = {k: extent(spark, sf_dir, t) for k, t in EXTENTS.items()}
