@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -9,11 +10,13 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that a Python worker handles at a time.
 SLICE_BYTES = 500_000
+#: Rows of a bitmap, 4,096 numbers each in half a kilobyte, up to which it is broadcast.
+BITMAP_ROWS = 1 << 17
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -59,6 +62,32 @@ def forget(df: DataFrame) -> None:
         path.getFileSystem(conf).delete(path, True)
 
 
+def release(spark: SparkSession) -> None:
+    """Have shuffles that no plan needs any more deleted now: Spark does so when the driver collects its garbage, which a small driver seldom does."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
+def bitmap(numbers: DataFrame, number: Column) -> DataFrame:
+    """(_chunk, _bits): the numbers, 0 or more, as bits, 4,096 to a row; chunks without any are missing."""
+    words = numbers.select(F.shiftright(number, 6).alias("w"), F.call_function("shiftleft", F.lit(1).cast("bigint"), number.bitwiseAND(63).cast("int")).alias("x")).groupBy("w").agg(F.bit_or("x").alias("x"))
+    held = words.groupBy(F.shiftright("w", 6).alias("_chunk")).agg(F.map_from_entries(F.collect_list(F.struct(F.col("w").bitwiseAND(63).cast("int"), "x"))).alias("m"))
+    bits = F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0).cast("bigint")))
+    return materialise(held.select("_chunk", bits.alias("_bits")), "bitmap")
+
+
+def marked(df: DataFrame, number: Column, bits: DataFrame, how: str) -> DataFrame:
+    """Rows of df whose number is in a bitmap (how: left_semi) or is not (left_anti)."""
+    word = F.get("_bits", F.shiftright(number, 6).bitwiseAND(63).cast("int"))
+    return df.join(F.broadcast(bits), (F.shiftright(number, 12) == F.col("_chunk")) & (F.getbit(word, number.bitwiseAND(63).cast("int")) == 1), how)
+
+
+def by_row(df: DataFrame, ids: DataFrame, how: str) -> DataFrame:
+    """Rows of df whose _row is among those of ids (left_semi) or is not (left_anti).  Rows numbered by monotonically_increasing_id() lie close, so a bitmap serves and df is not shuffled; one too large for broadcast gives way to an ordinary join."""
+    bits = bitmap(ids, F.col("_row"))
+    return marked(df, F.col("_row"), bits, how) if bits.count() <= BITMAP_ROWS else df.join(ids.select("_row"), "_row", how)
+
+
 def components(edges: DataFrame, max_rounds: int = 200) -> DataFrame:
     """Connected components of undirected links (a, b), BIGINT.
 
