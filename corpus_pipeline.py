@@ -12,9 +12,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tilebalance.llm import decontaminate, exact_dedup, near_copies, pieces, toxicity
-from tilebalance.llm.common import materialise, table
+from tilebalance.llm.common import bitmap, marked, materialise, table
 
 TOXIC_FROM = 0.5
+LISTED, SLOTS = 64, 29
 
 
 def digest(docs: DataFrame) -> Column:
@@ -23,10 +24,19 @@ def digest(docs: DataFrame) -> Column:
 
 
 def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
-    """docs without the rows whose text's digest _sha (and id _id, if it has one) is listed; the list is written, so that Spark joins it by its true size."""
+    """docs without the rows whose text's digest _sha (and id _id, if it has one) is listed.
+
+    A bitmap of the listed digests' hashes (LISTED bits each, 2 ** SLOTS at most) lets all other rows pass where they are: only rows
+    that it marks, the listed ones and a few more, are shuffled and joined with the list, by their complete digests.
+    """
     gone = materialise(gone.distinct(), "gone")
+    width = max(12, min(SLOTS, (LISTED * gone.count()).bit_length()))
+    slot = lambda sha: F.shiftrightunsigned(F.xxhash64(sha), 64 - width)
+    bits = bitmap(gone, slot(F.col("_sha")))
+    maybe = marked(docs, slot(digest(docs)), bits, "left_semi")
     same = digest(docs) == gone["_sha"]
-    return docs.join(gone, same & docs.doc_id.eqNullSafe(gone["_id"]) if "_id" in gone.columns else same, "left_anti")
+    left = maybe.join(gone, same & docs.doc_id.eqNullSafe(gone["_id"]) if "_id" in gone.columns else same, "left_anti")
+    return marked(docs, slot(digest(docs)), bits, "left_anti").union(left)
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
