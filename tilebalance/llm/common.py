@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -17,6 +18,9 @@ from pyspark.sql import functions as F
 SLICE_BYTES = 500_000
 #: Rows of a bitmap, 4,096 numbers each in half a kilobyte, up to which it is broadcast.
 BITMAP_ROWS = 1 << 17
+#: Rows that materialise() has sent to Python at once: Spark's own 10,000 texts are many times a slice, in the executor and in the worker.
+ARROW_ROWS = 1000
+_KEPT: dict[str, dict] = {}
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -38,8 +42,13 @@ def fresh_path(spark: SparkSession, what: str) -> str:
 
 def materialise(df: DataFrame, what: str) -> DataFrame:
     """Write df as Parquet to the shared folder and read it back: lineage ends here and survives lost executors."""
-    path = fresh_path(df.sparkSession, what)
-    df.write.parquet(path)
+    path, conf, key = fresh_path(df.sparkSession, what), df.sparkSession.conf, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    given = conf.get(key, None)
+    conf.set(key, str(ARROW_ROWS))
+    try:
+        df.write.parquet(path)
+    finally:
+        conf.unset(key) if given is None else conf.set(key, given)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
@@ -53,6 +62,39 @@ def slices(texts: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[int, int
         a = b
 
 
+def kept(operator: str) -> dict:
+    """The models that this Python worker keeps for an operator from task to task."""
+    return _KEPT.setdefault(operator, {})
+
+
+def make_room(operator: str = "") -> None:
+    """Forget, in this Python worker, the models of all operators but one: a worker serves one after another and would hold every one's."""
+    held = [models for name, models in _KEPT.items() if models and name != operator]
+    for models in held:
+        models.clear()
+    if held:
+        gc.collect()
+
+
+def give_back() -> None:
+    """Return freed memory, which the allocators keep, to the system."""
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
+
+
+def tidy(run: Callable, operator: str = "") -> Callable:
+    """run, a function of batches, with only its operator's models in memory; what it freed is given back at its end."""
+
+    def task(batches):
+        make_room(operator)
+        give_back()
+        yield from run(batches)
+        give_back()
+
+    return task
+
+
 def forget(df: DataFrame) -> None:
     """Delete the files of a table made by materialise() that no plan needs any more."""
     session = df.sparkSession

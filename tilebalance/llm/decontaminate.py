@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, tidy
 
 WINDOW, SHARD_WORDS, BLOCK_BYTES = 10, 1_000_000, 16 << 20
 _TABLE = bytes(c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else c + 32 if 65 <= c <= 90 else 32 for c in range(256))
@@ -271,7 +271,7 @@ def _pass(queries: Queries, shard_words: int):
         if held:
             yield flush()
 
-    return run
+    return tidy(run)
 
 
 def find(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", shard_words: int = SHARD_WORDS, block_bytes: int = BLOCK_BYTES, id_type: str = "bigint") -> DataFrame:

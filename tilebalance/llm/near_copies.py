@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from . import simhash
-from .common import by_row, components, forget, materialise, release, slices
+from .common import by_row, components, forget, materialise, release, slices, tidy
 
 WORDS, SIMILAR = 5, (4, 5)  # 4 / 5 = 0.8, compared in whole numbers
 #: Differing bits up to which fingerprints are candidates.
@@ -64,7 +64,7 @@ def sets(rows: DataFrame, words_per_shingle: int = WORDS) -> DataFrame:
                 own = [shingles(t, words_per_shingle).view("int64") for t in part.column(1).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(own, kind)], names=["_row", "set"])
 
-    return rows.select("_row", "text").mapInArrow(run, "_row bigint, set array<bigint>")
+    return rows.select("_row", "text").mapInArrow(tidy(run), "_row bigint, set array<bigint>")
 
 
 def often(rows: DataFrame, words_per_shingle: int = WORDS):
@@ -78,7 +78,7 @@ def often(rows: DataFrame, words_per_shingle: int = WORDS):
 
     n = rows.count()
     part = rows.where(F.pmod(F.xxhash64("_row"), F.lit(1 << 20)) < (1 << 20) * SAMPLE_DOCS // n) if n > SAMPLE_DOCS else rows
-    found = part.select("text").mapInArrow(run, "h bigint").groupBy("h").agg(F.count("*").alias("n")).where(F.col("n") >= SAMPLE_OFTEN)
+    found = part.select("text").mapInArrow(tidy(run), "h bigint").groupBy("h").agg(F.count("*").alias("n")).where(F.col("n") >= SAMPLE_OFTEN)
     top = found.orderBy(F.desc("n"), "h").limit(OFTEN_LIMIT).select("h").toArrow().column("h").to_numpy()
     return top[::-1].astype(np.int64).view(np.uint64)
 
@@ -118,7 +118,7 @@ def prefixes(rows: DataFrame, words_per_shingle: int = WORDS, similar: tuple[int
                     sizes.append(n)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int32()), pa.array(keys, longs), pa.array(odd, longs), pa.array(wide, longs)], names=["_row", "n", "keys", "parity", "wide"])
 
-    return rows.select("_row", "text").mapInArrow(run, "_row bigint, n int, keys array<bigint>, parity array<bigint>, wide array<bigint>")
+    return rows.select("_row", "text").mapInArrow(tidy(run), "_row bigint, n int, keys array<bigint>, parity array<bigint>, wide array<bigint>")
 
 
 def alike(similar: tuple[int, int], wide: bool = False) -> str:

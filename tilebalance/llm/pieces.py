@@ -29,14 +29,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, slices
+from .common import kept, materialise, slices, tidy
 
 CHUNK = 16_384
 KNOWN_BYTES = 48 << 20  # of remembered stretches in a worker
+SLOT_BITS = 18  # of a table of pieces
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = range(1, 7)
 SPACE = "▁"
 NONE = -np.inf
-_MODELS: dict[str, "Pieces"] = {}
 
 
 def _fields(data: bytes) -> Iterator[tuple[int, int, bytes | int]]:
@@ -117,9 +117,10 @@ class Pieces:
 
     @classmethod
     def at(cls, path: str) -> "Pieces":
-        if path not in _MODELS:
-            _MODELS[path] = cls(path)
-        return _MODELS[path]
+        models = kept("pieces")
+        if path not in models:
+            models[path] = cls(path)
+        return models[path]
 
     def escaped(self, text: str) -> str:
         return (SPACE + text if self.prefix and text else text).replace(" ", SPACE)
@@ -202,9 +203,9 @@ class Pieces:
             scores = np.array(list(self.score.values()))
             left, odd = np.arange(len(base)), 0x9E3779B97F4A7C15
             while len(left):
-                slot = ((base[left] * np.uint64(odd)) >> np.uint64(44)).astype(np.int64)
+                slot = ((base[left] * np.uint64(odd)) >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
                 _, first = np.unique(slot, return_index=True)
-                hashes, values = np.zeros(1 << 20, np.uint64), np.full(1 << 20, NONE)
+                hashes, values = np.zeros(1 << SLOT_BITS, np.uint64), np.full(1 << SLOT_BITS, NONE)
                 hashes[slot[first]], values[slot[first]] = base[left[first]], scores[left[first]]
                 self.tables.append((odd, hashes, values))
                 left = np.delete(left, first)
@@ -229,7 +230,7 @@ class Pieces:
                 h = h * times + codes[e - 1] + np.uint64(1)
                 score = np.full(len(own), NONE)
                 for odd, hashes, values in tables:
-                    slot = ((h * np.uint64(odd)) >> np.uint64(44)).astype(np.int64)
+                    slot = ((h * np.uint64(odd)) >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
                     hit = hashes[slot] == h
                     score[hit] = values[slot[hit]]
                 if e == a + 1:
@@ -412,7 +413,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
                 found = _columns(own, blobs, [1] * (b - a), columns)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), *[pa.array(found[c], _KINDS[c][0]) for c in columns]], names=["doc_id", *columns])
 
-    small = rows.where(F.length("text") <= chunk).mapInArrow(plain, _schema(columns))
+    small = rows.where(F.length("text") <= chunk).mapInArrow(tidy(plain, "pieces"), _schema(columns))
 
     def cut(batches):
         own = Pieces.at(model)
@@ -429,7 +430,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
                     )
 
     giants = rows.where(F.length("text") > chunk).withColumn("row", F.monotonically_increasing_id()).select("row", "doc_id", "text")
-    chunks = materialise(giants.mapInArrow(cut, "row bigint, doc_id bigint, k bigint, head string, body string").repartition(F.col("row"), F.col("k")), "chunks")
+    chunks = materialise(giants.mapInArrow(tidy(cut, "pieces"), "row bigint, doc_id bigint, k bigint, head string, body string").repartition(F.col("row"), F.col("k")), "chunks")
 
     def matrices(batches):
         own = Pieces.at(model)
@@ -447,7 +448,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
         return part[["row", "k", "enter"]]
 
     # Matrices are small, so their partitions would be merged into one; a number of them, given, keeps the work dealt.
-    dealt = chunks.select("row", "k", "head", "body").mapInArrow(matrices, "row bigint, k bigint, m binary").repartition(spread, "row")
+    dealt = chunks.select("row", "k", "head", "body").mapInArrow(tidy(matrices, "pieces"), "row bigint, k bigint, m binary").repartition(spread, "row")
     entered = dealt.groupBy("row").applyInPandas(combine, "row bigint, k bigint, enter binary")
 
     def traces(batches):
@@ -464,7 +465,7 @@ def encode(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str =
                     names=["row", "doc_id", "k", "shared", "ends", "sources"],
                 )
 
-    traced = chunks.join(entered, ["row", "k"]).select("row", "doc_id", "k", "head", "body", "enter").mapInArrow(traces, "row bigint, doc_id bigint, k bigint, shared binary, ends array<binary>, sources array<bigint>")
+    traced = chunks.join(entered, ["row", "k"]).select("row", "doc_id", "k", "head", "body", "enter").mapInArrow(tidy(traces, "pieces"), "row bigint, doc_id bigint, k bigint, shared binary, ends array<binary>, sources array<bigint>")
 
     def put_together(part):
         import pandas as pd
@@ -488,7 +489,7 @@ def decode(encoded: DataFrame, model: str) -> DataFrame:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([own.decode(np.frombuffer(b, "<u4")) for b in batch.column(1).to_pylist()], pa.string())], names=["doc_id", "text"])
 
-    return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id bigint, text string")
+    return encoded.select("doc_id", "ids").mapInArrow(tidy(run, "pieces"), "doc_id bigint, text string")
 
 
 def digest(encoded: DataFrame, model: str, with_ids: bool = False) -> DataFrame:
@@ -503,4 +504,4 @@ def digest(encoded: DataFrame, model: str, with_ids: bool = False) -> DataFrame:
                 found = _columns(own, part.column(1).to_pylist(), part.column(2).to_pylist(), columns)
                 yield pa.RecordBatch.from_arrays([part.column(0), *[pa.array(found[c], _KINDS[c][0]) for c in columns]], names=["doc_id", *columns])
 
-    return encoded.select("doc_id", "ids", "n_chunks").mapInArrow(run, _schema(columns))
+    return encoded.select("doc_id", "ids", "n_chunks").mapInArrow(tidy(run, "pieces"), _schema(columns))

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import fresh_path
+from .common import fresh_path, kept, tidy
 
 MAGIC = b"RPG1"
 SHARD_TOKENS, MIN_USES, BUCKET_BITS = 1 << 20, 4, 18
@@ -38,7 +38,6 @@ END_ID = 2
 _SEPARATORS = re.compile("[\x1c-\x1f]")
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 _BEYOND = re.compile("[^\x00-į]")
-_ENCODERS: dict[str, "Encoder"] = {}
 
 
 class Encoder:
@@ -72,9 +71,10 @@ class Encoder:
 
     @classmethod
     def at(cls, path: str) -> "Encoder":
-        if path not in _ENCODERS:
-            _ENCODERS[path] = cls(path)
-        return _ENCODERS[path]
+        models = kept("repair")
+        if path not in models:
+            models[path] = cls(path)
+        return models[path]
 
     def ids(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids

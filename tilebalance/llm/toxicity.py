@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices
+from .common import give_back, make_room, slices, tidy
 
 PER_CLASS, MAX_CHARS = 2000, 30_000
 PREFIXES, FEATURE_BITS = range(4, 9), 20
@@ -264,9 +264,11 @@ def score_column(model: Field):
 
     @F.arrow_udf("double")
     def run(texts: pa.Array) -> pa.Array:
+        make_room()
         out: list[float] = []
         for a, b in slices(texts):
             out += [model.score(p) for p in model.marginals(texts.slice(a, b - a).to_pylist())]
+        give_back()
         return pa.array(out, pa.float64())
 
     return run
@@ -302,4 +304,4 @@ def score_documents(docs: DataFrame, model: Field, id_col: str = "doc_id", text_
                     cols.append(pa.array([offending(t, p, span_at) for t, p in zip(texts, ps)], place))
                 yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "score", "spans"][: len(cols)])
 
-    return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, kind)
+    return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), kind)
