@@ -35,7 +35,7 @@ from .common import fresh_path, kept, tidy
 MAGIC = b"RPG1"
 SHARD_TOKENS, MIN_USES, BUCKET_BITS = 1 << 20, 4, 18
 END_ID = 2
-_SEPARATORS = re.compile("[\x1c-\x1f]")
+_SEPARATORS = "\x1c\x1d\x1e\x1f"
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 _BEYOND = re.compile("[^\x00-į]")
 
@@ -67,7 +67,9 @@ class Encoder:
         self.letters = dict(zip(sorted(set(range(256)) - set(shown)), range(256, 512)))
         words = ["cloudberry", "stra\xdfe", "na\xefve", "\xe0\xf1\xfe", "z"]
         self.direct = self.tokenizer.pre_tokenizer is not None and all(self.word(w) == np.array(self.ids(w), self.kind).tobytes() for w in words)
-        self.tails = "".join(t for t in ".,;:!?" if all(self.ids(w + t) == self.ids(w) + self.ids(t) for w in [*words, "it's", "a1"]))
+        apart = lambda t: all(self.ids(w + t) == self.ids(w) + self.ids(t) for w in [*words, "it's", "a1"])
+        tails = [t for t in ".,;:!?#*&%$" if apart(t) and apart(t * 3)]
+        self.tails = "".join(tails if all(apart(t + u) for t in tails for u in tails) else [])
 
     @classmethod
     def at(cls, path: str) -> "Encoder":
@@ -83,19 +85,26 @@ class Encoder:
         """The ids of each text as packed little-endian numbers."""
         if len(self.known) > self.limit:
             self.known.clear()
-        runs, found, missing, get = [], [], set(), self.known.get
+        runs = []
         for text in texts:
             text = text or ""
-            if not _BEYOND.search(text) and "<|" not in text:  # special tokens keep their case
+            if not self.beyond(text) and "<|" not in text:  # special tokens keep their case
                 text = text.lower()
-            own = _SPACE.split(text) if _SEPARATORS.search(text) else text.split()
-            got = list(map(get, own))
-            if None in got:
-                missing.update(w for w, g in zip(own, got) if g is None)
-            runs.append(own)
-            found.append(got)
-        self.learn(list(missing))
-        return [b"".join(map(get, own) if None in got else got) for own, got in zip(runs, found)]
+            runs.append(list(filter(None, _SPACE.split(text))) if any(c in text for c in _SEPARATORS) else text.split())
+        self.learn(list(set().union(*runs).difference(self.known)))
+        ids = self.known.__getitem__
+        return [b"".join(map(ids, own)) for own in runs]
+
+    @staticmethod
+    def beyond(text: str) -> bool:
+        """Whether a text has characters beyond the Latin ranges."""
+        if text.isascii():
+            return False
+        try:
+            text.encode("latin-1")
+            return False
+        except UnicodeEncodeError:
+            return bool(_BEYOND.search(text))
 
     def word(self, word: str) -> bytes:
         """Ids of lower-case Latin letters by the library's model alone: nothing is to be normalised or cut there."""
@@ -104,16 +113,28 @@ class Encoder:
         return array(self.kind.char, [t.id for t in self.model.tokenize(word)]).tobytes()
 
     def learn(self, words: list[str]) -> None:
-        """Encode runs of characters.  A mark after a letter or digit is a token of its own, so such a run is its core's ids and the mark's."""
-        known, tails = self.known, self.tails
-        cored = [w for w in words if w[-1] in tails and w[-2:-1].isalnum() and not _BEYOND.search(w)]
-        whole = {*words}.difference(cored).union([w[:-1] for w in cored], {w[-1] for w in cored}).difference(known)
-        letters = [w for w in whole if self.direct and w.isalpha() and w.islower() and not _BEYOND.search(w)]
-        for w in letters:
-            known[w] = self.word(w)
-        self.learn_runs(list(whole.difference(letters)))
-        for w in cored:
-            known[w] = known[w[:-1]] + known[w[-1]]
+        """Encode runs of characters.  Marks after a letter or digit are cut off it, so such a run is its core's ids and the marks'."""
+        known, tails, beyond = self.known, self.tails, self.beyond
+        cored, whole = [], set()
+        for w in words:
+            core = w.rstrip(tails)
+            if len(core) < len(w) and core[-1:].isalnum() and not beyond(w):
+                tail = w[len(core) :]
+                cored.append((w, core, tail))
+                whole.add(core)
+                whole.add(tail)
+            else:
+                whole.add(w)
+        runs, word, direct = [], self.word, self.direct
+        for w in whole:
+            if w not in known:
+                if direct and w.isalpha() and w.islower() and not beyond(w):
+                    known[w] = word(w)
+                else:
+                    runs.append(w)
+        self.learn_runs(runs)
+        for w, core, tail in cored:
+            known[w] = known[core] + known[tail]
 
     def learn_runs(self, words: list[str]) -> None:
         """Encode any runs, many to a call: a mark that stands alone between them is one id, at which the result is cut."""
@@ -316,8 +337,8 @@ def encode(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: s
     def run(batches):
         own = Encoder.at(vocabulary)
         for batch in batches:
-            for a in range(0, batch.num_rows, 512):
-                part = batch.slice(a, 512)
+            for a in range(0, batch.num_rows, 32):  # few texts stay in the processor's cache
+                part = batch.slice(a, 32)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(own.encode(part.column(1).to_pylist()), pa.binary())], names=["doc_id", "ids"])
 
     return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id bigint, ids binary")
