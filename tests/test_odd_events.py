@@ -1,12 +1,13 @@
 """Queries on events beside their SQL over values that the small tables lack."""
 
 import math
-from datetime import datetime
+from datetime import datetime, timedelta
 
 import duckdb
 import pyarrow as pa
 import pyarrow.parquet as pq
 
+from tests.compare import same
 from tilebalance.queries import load_all
 
 
@@ -33,3 +34,14 @@ def test_op_math(spark, tmp_path):
     # Made ties of powers and logarithms hang on the last bit of each engine's library: not compared.
     whole = (0, 1, 2, 5)
     assert {k: [v[i] for i in whole] for k, v in a.items()} == {k: [v[i] for i in whole] for k, v in b.items()}
+
+
+def test_st_session_rows_stay_off_the_driver(spark, tmp_path):
+    """The stream's complete result lies in files, not in a table in the driver's memory; a gap of just six hours parts sessions."""
+    day = datetime(2024, 1, 1)
+    path = written(tmp_path, [(u, day + timedelta(microseconds=21_600_000_000 * k - (k == 2)), 1.0) for u in range(300) for k in (0, 1, 1, 2, 5)])
+    run, sql = load_all()["st_session"]
+    df = run(spark, path)
+    assert df.inputFiles()
+    assert same(df, sql, path) == 300
+    assert not spark.conf.get("spark.sql.streaming.stateStore.providerClass").endswith("RocksDBStateStoreProvider")
