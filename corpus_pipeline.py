@@ -12,7 +12,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tilebalance.llm import decontaminate, exact_dedup, near_copies, pieces, toxicity
-from tilebalance.llm.common import bitmap, marked, materialise, table
+from tilebalance.llm.common import bitmap, marked, materialise, shrink, table
 
 TOXIC_FROM = 0.5
 LISTED, SLOTS = 64, 29
@@ -41,6 +41,7 @@ def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents scored below TOXIC_FROM; the field is fitted on the labelled rows among them."""
+    shrink(spark)
     model = toxicity.train(docs, table(spark, sf_dir, "labels"))
     score = toxicity.score_column(model)
     return docs.where(score(F.col("text").cast("string")) < TOXIC_FROM)
@@ -54,17 +55,20 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document, that with the smallest doc_id, of each group of near copies: 5-word shingles, similarity 0.8 or more."""
+    shrink(spark)
     return near_copies.first_of_group(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without any benchmark window."""
+    shrink(spark)
     found = decontaminate.report(docs.withColumn("_sha", digest(docs)), table(spark, sf_dir, "benchmark"), id_col="_sha", id_type="string")
     return without(docs, found.where("contaminated").select(F.col("doc_id").alias("_sha")))
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Piece ids of every kept text with the digest of what they decode to: doc_id, n_pieces, ids_crc32, n_chunks, decoded_sha256, ids (packed unsigned 32-bit numbers)."""
+    shrink(spark)
     model = public_tokenizers.path("piece_bpe_32k.model")
     return pieces.encode(docs, model, columns=(*pieces.DIGEST, "ids"))
 

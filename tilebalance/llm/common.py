@@ -110,6 +110,12 @@ def release(spark: SparkSession) -> None:
     spark._jvm.System.gc()
 
 
+def shrink(spark: SparkSession) -> None:
+    """Have executors collect their garbage now: a heap stays as large as the stage before made it, beside the workers of the next.  A task a slot, so on a busy or large cluster some executors may be left out; no result depends on it."""
+    slots = max(1, spark.sparkContext.defaultParallelism)
+    spark.range(0, slots, 1, slots).select(F.java_method(F.lit("java.lang.System"), F.lit("gc"))).write.format("noop").mode("overwrite").save()
+
+
 def bitmap(numbers: DataFrame, number: Column) -> DataFrame:
     """(_chunk, _bits): the numbers, 0 or more, as bits, 4,096 to a row; chunks without any are missing."""
     words = numbers.select(F.shiftright(number, 6).alias("w"), F.call_function("shiftleft", F.lit(1).cast("bigint"), number.bitwiseAND(63).cast("int")).alias("x")).groupBy("w").agg(F.bit_or("x").alias("x"))

@@ -17,6 +17,7 @@ the documents for each block.
 
 from __future__ import annotations
 
+from array import array
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -27,6 +28,8 @@ from pyspark.sql import functions as F
 from .common import materialise, tidy
 
 WINDOW, SHARD_WORDS, BLOCK_BYTES = 10, 1_000_000, 16 << 20
+#: Places of a shard handled at a time where each takes many numbers.
+SLICE = 1 << 16
 _TABLE = bytes(c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else c + 32 if 65 <= c <= 90 else 32 for c in range(256))
 
 
@@ -83,19 +86,19 @@ class SuffixArray:
         self.bits = max(1, int(n_words).bit_length())
         self.per = max(1, 62 // self.bits)
         self.n = len(ids)
-        padded = np.concatenate([ids, np.zeros(self.per, np.int64)])
         key = np.zeros(self.n, np.int64)
         for k in range(self.per):
-            key = (key << self.bits) | padded[k : k + self.n]
+            key <<= self.bits
+            key[: max(0, self.n - k)] |= ids[k:]
         self.ids, self.key = ids, key
-        live = np.flatnonzero(ids)
+        live = np.flatnonzero(ids).astype(np.int32 if self.n < 2**31 else np.int64)
         order = live[np.argsort(key[live], kind="stable")]
+        del live
         # Ties are sorted further, a packed key at a time, until none is left or the depth is reached.
         done = self.per
         group = self._groups(key[order])
         while done < depth and len(order):
-            sizes = np.bincount(group)
-            tied = np.flatnonzero(sizes[group] > 1)
+            tied = np.flatnonzero(np.bincount(group)[group] > 1)
             if not len(tied):
                 break
             nxt = self.key_at(order[tied], done)
@@ -105,13 +108,15 @@ class SuffixArray:
             change[1:] = group[1:] != group[:-1]
             sorted_next, same = nxt[again], group[tied][again]
             change[tied[1:]] |= (sorted_next[1:] != sorted_next[:-1]) & (same[1:] == same[:-1])
-            group = np.cumsum(change)
+            group = np.cumsum(change, dtype=np.int32)
             done += self.per
         self.order = order
 
     @staticmethod
     def _groups(keys: np.ndarray) -> np.ndarray:
-        return np.concatenate([[0], np.cumsum(keys[1:] != keys[:-1])]) if len(keys) else np.zeros(0, np.int64)
+        group = np.zeros(len(keys), np.int32)
+        np.cumsum(keys[1:] != keys[:-1], dtype=np.int32, out=group[1:])
+        return group
 
     def key_at(self, place: np.ndarray, ahead: int) -> np.ndarray:
         at = place + ahead
@@ -156,11 +161,15 @@ class SuffixArray:
 
 
 def longest_runs(shard: SuffixArray, other: SuffixArray) -> np.ndarray:
-    """For each place in the shard, how many words from there on occur in a row somewhere in the other array's text."""
-    out = np.zeros(shard.n, np.int64)
-    place, keys = shard.order, other.key[other.order]
-    if not len(keys) or not len(place):
-        return out
+    """For each place in the shard, how many words from there on occur in a row somewhere in the other array's text.  A slice of places at a time: each takes many numbers a place."""
+    out, keys = np.zeros(shard.n, np.int32), other.key[other.order]
+    if len(keys):
+        for a in range(0, len(shard.order), SLICE):
+            _runs_from(shard, other, keys, shard.order[a : a + SLICE], out)
+    return out
+
+
+def _runs_from(shard: SuffixArray, other: SuffixArray, keys: np.ndarray, place: np.ndarray, out: np.ndarray) -> None:
     mine = shard.key[place]
     lo, hi = np.searchsorted(keys, mine, "left"), np.searchsorted(keys, mine, "right")
     first, last = np.zeros(len(place), np.int64), np.full(len(place), len(keys), np.int64)
@@ -178,33 +187,34 @@ def longest_runs(shard: SuffixArray, other: SuffixArray) -> np.ndarray:
         ahead += shard.per
         mine = shard.key_at(place, ahead)
         lo, hi = other._bound(first, last, ahead, mine, False), other._bound(first, last, ahead, mine, True)
-    return out
 
 
 def search_shard(texts: list[str | None], queries: Queries) -> list[dict]:
     """For each text: n_words, spans (disjoint word ranges inside benchmark windows), items, and its longest verbatim match (words, item, where in both)."""
-    get, rows, sizes = queries.number.get, [], []
+    get, rows, sizes = queries.number.get, array("i"), []
     for text in texts:
         words = words_of(text)
         rows.extend([get(w, 0) for w in words])
         rows.append(0)
         sizes.append(len(words))
     out = [{"n_words": n, "spans": [], "items": [], "longest": 0, "longest_item": None, "longest_at": None, "longest_from": None} for n in sizes]
-    ids = np.array(rows, np.int64)
+    ids = np.array(rows, np.int32)
+    del rows
     if not len(queries.items) or not ids.any():
         return out
     starts = np.concatenate([[0], np.cumsum(np.array(sizes, np.int64) + 1)])[:-1]
-    array = SuffixArray(ids, len(queries.number), int(queries.lengths.max()))
-    _longest(array, starts, queries, out)
+    shard = SuffixArray(ids, len(queries.number), int(queries.lengths.max()))
+    _longest(shard, starts, queries, out)
     at, length, item = queries.windows()
-    lo, hi = array.search(queries.flat, at, length)
+    lo, hi = shard.search(queries.flat, at, length)
     count = hi - lo
     if not count.any():
         return out
     q = np.repeat(np.arange(len(at)), count)
-    place = array.order[np.repeat(lo - (np.cumsum(count) - count), count) + np.arange(len(q))]
-    edge = np.bincount(place, minlength=len(ids) + 1) - np.bincount(place + length[q], minlength=len(ids) + 1)
-    hit = np.concatenate([[0], (np.cumsum(edge)[: len(ids)] > 0).astype(np.int8), [0]])
+    place = shard.order[np.repeat(lo - (np.cumsum(count) - count), count) + np.arange(len(q))]
+    edge = np.bincount(place, minlength=len(ids) + 1)
+    edge -= np.bincount(place + length[q], minlength=len(ids) + 1)
+    hit = np.concatenate([np.zeros(1, np.int8), (np.cumsum(edge, out=edge)[: len(ids)] > 0).astype(np.int8), np.zeros(1, np.int8)])
     step = np.diff(hit)
     begin, end = np.flatnonzero(step > 0), np.flatnonzero(step < 0)
     for a, b in zip(begin, end):
@@ -216,15 +226,19 @@ def search_shard(texts: list[str | None], queries: Queries) -> list[dict]:
     return out
 
 
-def _longest(array: SuffixArray, starts: np.ndarray, queries: Queries, out: list[dict]) -> None:
+def _longest(shard: SuffixArray, starts: np.ndarray, queries: Queries, out: list[dict]) -> None:
     """The longest match of each document: of equal ones the first in the document, then the first item and place."""
-    run = longest_runs(array, queries.array)
+    run = longest_runs(shard, queries.array)
     best = np.maximum.reduceat(run, starts)
-    of = np.searchsorted(starts, np.arange(len(run)), side="right") - 1
-    top = np.flatnonzero((run > 0) & (run == best[of]))
-    docs, first = np.unique(of[top], return_index=True)
-    place = top[first]
-    lo, hi = queries.array.search(array.ids, place, run[place])
+    found = []
+    for a in range(0, len(run), SLICE):
+        mine = run[a : a + SLICE]
+        of = np.searchsorted(starts, np.arange(a, a + len(mine)), side="right") - 1
+        top = np.flatnonzero((mine > 0) & (mine == best[of]))
+        found.append((of[top], a + top))
+    docs, first = np.unique(np.concatenate([d for d, _ in found]), return_index=True)
+    place = np.concatenate([p for _, p in found])[first]
+    lo, hi = queries.array.search(shard.ids, place, run[place])
     for d, p, a, b in zip(docs.tolist(), place.tolist(), lo.tolist(), hi.tolist()):
         begin = int(queries.array.order[a:b].min())
         item = int(np.searchsorted(queries.starts, begin, side="right")) - 1
