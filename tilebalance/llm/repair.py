@@ -17,6 +17,7 @@ symbol[symbols].
 
 from __future__ import annotations
 
+import codecs
 import os
 import re
 import struct
@@ -26,18 +27,21 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import fresh_path, kept, tidy
+from .common import fresh_path, kept, slices, tidy
 
 MAGIC = b"RPG1"
 SHARD_TOKENS, MIN_USES, BUCKET_BITS = 1 << 20, 4, 18
+#: Bytes of text whose runs are looked up at a time: the more, the more of them are the same.
+ENCODE_BYTES = 4_000_000
 END_ID = 2
-_SEPARATORS = "\x1c\x1d\x1e\x1f"
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 _BEYOND = re.compile("[^\x00-į]")
+_ALNUM = np.array([chr(c).isalnum() for c in range(0x130)] + [False])
 
 
 class Encoder:
@@ -64,7 +68,8 @@ class Encoder:
             raise ValueError("the vocabulary keeps white space or case")
         shown = sorted({*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)})
         self.model = self.tokenizer.model
-        self.letters = dict(zip(sorted(set(range(256)) - set(shown)), range(256, 512)))
+        letters = dict(zip(sorted(set(range(256)) - set(shown)), range(256, 512)))
+        self.letters = "".join(chr(letters.get(b, b)) for b in range(256))
         words = ["cloudberry", "stra\xdfe", "na\xefve", "\xe0\xf1\xfe", "z"]
         self.direct = self.tokenizer.pre_tokenizer is not None and all(self.word(w) == np.array(self.ids(w), self.kind).tobytes() for w in words)
         apart = lambda t: all(self.ids(w + t) == self.ids(w) + self.ids(t) for w in [*words, "it's", "a1"])
@@ -82,18 +87,51 @@ class Encoder:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
-        """The ids of each text as packed little-endian numbers."""
+        """The ids of each text as packed little-endian numbers.  Runs are looked up once for all texts, cut into core and marks before."""
         if len(self.known) > self.limit:
             self.known.clear()
-        runs = []
+        clean, odd = [], False
         for text in texts:
             text = text or ""
-            if not self.beyond(text) and "<|" not in text:  # special tokens keep their case
+            wide = self.beyond(text)
+            if not wide and "<|" not in text:  # special tokens keep their case
                 text = text.lower()
-            runs.append(list(filter(None, _SPACE.split(text))) if any(c in text for c in _SEPARATORS) else text.split())
-        self.learn(list(set().union(*runs).difference(self.known)))
-        ids = self.known.__getitem__
-        return [b"".join(map(ids, own)) for own in runs]
+            if not text.isascii():
+                text = _SPACE.sub(" ", text) if wide else text.replace("\x85", " ").replace("\xa0", " ")
+            clean.append(text)
+            odd |= wide
+        runs = pc.ascii_split_whitespace(pa.array(clean, pa.large_string()))
+        coded = runs.values.dictionary_encode()
+        words = coded.dictionary
+        parts = pa.concat_arrays(self.cut(words, odd)).dictionary_encode()
+        names, known = parts.dictionary.to_numpy(zero_copy_only=False).tolist(), self.known
+        found = list(map(known.get, names))
+        if new := [i for i, held in enumerate(found) if held is None]:
+            self.learn([names[i] for i in new])
+            for i in new:
+                found[i] = known[names[i]]
+        ids = pa.array(found, pa.large_binary()).take(parts.indices)
+        ids = pc.binary_join_element_wise(ids[: len(words)], ids[len(words) :], pa.scalar(b"", pa.large_binary())).take(coded.indices)
+        ends = np.frombuffer(ids.buffers()[1], np.int64)[runs.offsets.to_numpy()].tolist() if len(ids) else [0] * (len(texts) + 1)
+        data = memoryview(ids.buffers()[2] or b"")
+        return [data[a:b].tobytes() for a, b in zip(ends, ends[1:])]
+
+    def cut(self, words: pa.LargeStringArray, odd: bool) -> list[pa.Array]:
+        """Core and marks of each run.  Marks after a letter or digit are cut off it; other runs, and those beyond the Latin ranges (odd: there may be some), stay whole."""
+        core = pc.ascii_rtrim(words, characters=self.tails)
+        begin, data = np.frombuffer(words.buffers()[1], np.int64)[: len(words) + 1], np.frombuffer(words.buffers()[2] or b" ", np.uint8)
+        full, held = np.diff(begin), pc.binary_length(core).to_numpy()
+        end = begin[:-1] + held
+        last, lead = data[np.maximum(end - 1, 0)].astype(np.int32), data[np.maximum(end - 2, 0)].astype(np.int32)
+        code = np.where(last < 0x80, last, np.where((lead >= 0xC2) & (lead <= 0xC4) & (held > 1), (lead & 0x1F) << 6 | last & 0x3F, 0))
+        apart = (held < full) & (held > 0) & _ALNUM[np.minimum(code, len(_ALNUM) - 1)]
+        if odd:
+            apart &= ~pc.match_substring_regex(words, _BEYOND.pattern).to_numpy(zero_copy_only=False)
+        n = np.where(apart, full - held, 0)
+        after = np.concatenate([[0], np.cumsum(n)])
+        marks = data[np.repeat(end - after[:-1], n) + np.arange(after[-1])]
+        tail = pa.LargeStringArray.from_buffers(len(words), pa.py_buffer(after), pa.py_buffer(marks))
+        return [pc.if_else(pa.array(apart), core, words), tail]
 
     @staticmethod
     def beyond(text: str) -> bool:
@@ -109,32 +147,18 @@ class Encoder:
     def word(self, word: str) -> bytes:
         """Ids of lower-case Latin letters by the library's model alone: nothing is to be normalised or cut there."""
         if not word.isascii():
-            word = word.encode().decode("latin-1").translate(self.letters)
+            word = codecs.charmap_decode(word.encode(), "strict", self.letters)[0]
         return array(self.kind.char, [t.id for t in self.model.tokenize(word)]).tobytes()
 
     def learn(self, words: list[str]) -> None:
-        """Encode runs of characters.  Marks after a letter or digit are cut off it, so such a run is its core's ids and the marks'."""
-        known, tails, beyond = self.known, self.tails, self.beyond
-        cored, whole = [], set()
+        """Encode new runs of characters: plain words one by one, others many to a call."""
+        known, beyond, word, direct, runs = self.known, self.beyond, self.word, self.direct, []
         for w in words:
-            core = w.rstrip(tails)
-            if len(core) < len(w) and core[-1:].isalnum() and not beyond(w):
-                tail = w[len(core) :]
-                cored.append((w, core, tail))
-                whole.add(core)
-                whole.add(tail)
+            if direct and w.isalpha() and w.islower() and (w.isascii() or not beyond(w)):
+                known[w] = word(w)
             else:
-                whole.add(w)
-        runs, word, direct = [], self.word, self.direct
-        for w in whole:
-            if w not in known:
-                if direct and w.isalpha() and w.islower() and not beyond(w):
-                    known[w] = word(w)
-                else:
-                    runs.append(w)
+                runs.append(w)
         self.learn_runs(runs)
-        for w, core, tail in cored:
-            known[w] = known[core] + known[tail]
 
     def learn_runs(self, words: list[str]) -> None:
         """Encode any runs, many to a call: a mark that stands alone between them is one id, at which the result is cut."""
@@ -171,37 +195,37 @@ def compress(ids: np.ndarray, last: np.ndarray, base: int, min_uses: int = MIN_U
     all its uses, so such a round replaces something or no pair is frequent,
     which alone ends the loop.
     """
-    seq, last = ids.astype(np.int32), last.copy()
-    live = ~last
+    seq, live, stop = ids.astype(np.int32), ~last, np.flatnonzero(last)  # stop: places of documents' last symbols
     rules, ends, fresh, exact, level, k = [], [], base, False, 1 << 40, 0
     while True:
         at = np.flatnonzero(live)
         if not len(at):
             break
-        pair = (seq[at].astype(np.int64) << 32) | seq[at + 1]
+        pair = (seq.take(at).astype(np.int64) << 32) | seq.take(at + 1)
         if exact:
             _, bucket = np.unique(pair, return_inverse=True)
             n_buckets = int(bucket.max()) + 1
             use = _places(at, bucket)
-            common = np.bincount(bucket[use], minlength=n_buckets)[bucket] >= min_uses
+            common = (np.bincount(bucket[use], minlength=n_buckets) >= min_uses).take(bucket)
         else:
             width = min(bits, max(8, len(at).bit_length()))
             n_buckets = 1 << width
             odd = np.uint64((0x9E3779B97F4A7C15 * (2 * k + 1)) & ((1 << 64) - 1) | 1)
-            bucket = ((pair.view(np.uint64) * odd) >> np.uint64(64 - width)).astype(np.int32)
-            common = np.bincount(bucket, minlength=n_buckets)[bucket] >= min_uses
+            bucket = ((pair.view(np.uint64) * odd) >> np.uint64(64 - width)).view(np.int64)  # numpy's own kind of index: others are copied at each use
+            common = (np.bincount(bucket, minlength=n_buckets) >= min_uses).take(bucket)
         k += 1
-        live[at[~common]] = False
-        at, pair, bucket = at[common], pair[common], bucket[common]
+        live[at] = common
+        stay = np.flatnonzero(common)
+        at, pair, bucket = at.take(stay), pair.take(stay), bucket.take(stay)
         if not len(at):
             break
-        slots = np.zeros(n_buckets, np.int32)
-        slots[bucket] = np.arange(len(at), dtype=np.int32)
-        own = pair[slots[bucket]] == pair
+        slots = np.zeros(n_buckets, np.int64)
+        slots[bucket] = pair
+        own = slots.take(bucket) == pair
         count = np.bincount(bucket[own], minlength=n_buckets)
         level = min(level, int(count.max())) >> 3
         least = max(min_uses, level)
-        picked = np.flatnonzero(own & (count[bucket] >= least))
+        picked = np.flatnonzero(own & (count >= least).take(bucket))
         place, home = at[picked], bucket[picked]
         rank = count[home] * n_buckets + home
         take = _places(place, home)
@@ -219,18 +243,21 @@ def compress(ids: np.ndarray, last: np.ndarray, base: int, min_uses: int = MIN_U
         new = number[home]
         take &= new >= 0
         chosen = place[take]
-        used = pair[slots[kept]]
+        used = slots[kept]
         rules.append(np.stack([used >> 32, used & 0xFFFFFFFF], 1))
         fresh += len(kept)
         ends.append(fresh - base)
         seq[chosen] = new[take]
-        last[chosen] = last[chosen + 1]
         live[chosen] = True
         live[np.maximum(chosen - 1, 0)] = True
-        live &= ~last
         stay = np.ones(len(seq), bool)
         stay[chosen + 1] = False
-        seq, last, live = seq[stay], last[stay], live[stay]
+        stay = np.flatnonzero(stay)
+        seq, live = seq.take(stay), live.take(stay)
+        stop = stop - np.searchsorted(chosen + 1, stop, side="right")
+        live[stop] = False
+    last = np.zeros(len(seq), bool)
+    last[stop] = True
     return seq, np.concatenate(rules) if rules else np.zeros((0, 2), np.int64), last, ends
 
 
@@ -337,8 +364,8 @@ def encode(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: s
     def run(batches):
         own = Encoder.at(vocabulary)
         for batch in batches:
-            for a in range(0, batch.num_rows, 32):  # few texts stay in the processor's cache
-                part = batch.slice(a, 32)
+            for a, b in slices(batch.column(1), ENCODE_BYTES):
+                part = batch.slice(a, b - a)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(own.encode(part.column(1).to_pylist()), pa.binary())], names=["doc_id", "ids"])
 
     return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id bigint, ids binary")
@@ -363,6 +390,7 @@ def write(docs: DataFrame, path: str, vocabulary: str, end_id: int = END_ID, sha
     def run(batches):
         held: list[tuple[int | None, int, np.ndarray]] = []
         size = start = shard = number = 0
+        end = np.array([end_id], np.int32)
 
         def flush():
             ids, starts, arrays = zip(*held)
@@ -373,7 +401,7 @@ def write(docs: DataFrame, path: str, vocabulary: str, end_id: int = END_ID, sha
 
         for batch in batches:
             for number, doc_id, packed in zip(*[c.to_pylist() for c in batch.columns]):
-                own = np.append(np.frombuffer(packed, "<u4" if wide else "<u2").astype(np.int64), end_id)
+                own = np.append(np.frombuffer(packed, "<u4" if wide else "<u2"), end)
                 if held and size + len(own) > shard_tokens:
                     yield flush()
                     held, size, shard = [], 0, shard + 1
